@@ -87,8 +87,10 @@ def flat(column) -> tuple[np.ndarray, np.ndarray]:
 
 
 def runs_of(data: np.ndarray, at: np.ndarray, length: int) -> dict[str, np.ndarray]:
-    """Runs of a buffer of texts: anchor digest, context digest, row, start within the text, strings in it."""
-    out: list[list[np.ndarray]] = [[], [], [], [], []]
+    """Runs of a buffer of texts: anchor digest, context digest, row, start within the text, strings in it, place of the
+    anchor from start, and digests of the anchor with half a string's rest on its left and on its right.
+    """
+    out: list[list[np.ndarray]] = [[] for _ in range(8)]
     n, spread = len(data), length - GRAM + 1
     for lo in range(0, max(0, n - length + 1), _PART):
         part = data[lo : min(n, lo + _PART + length - 1)]
@@ -117,10 +119,12 @@ def runs_of(data: np.ndarray, at: np.ndarray, length: int) -> dict[str, np.ndarr
         count = np.diff(np.append(first, len(starts)))
         s, a = starts[first], anchor[first]
         context = mix64(high.of(s, s + count + length - 1) + (a - s).astype(_U) * _U(0x9E3779B97F4A7C15) + count.astype(_U))
-        for held, x in zip(out, (gram[a], context, row[first], s + lo - at[row[first]], count)):
+        half = (length - GRAM) // 2  # clipped halves are never asked for: no string of the run reaches past its text
+        sides = low.of(np.maximum(a - half, 0), a + GRAM), low.of(a, np.minimum(a + GRAM + half, m))
+        for held, x in zip(out, (gram[a], context, row[first], s + lo - at[row[first]], count, a - s, *sides)):
             held.append(x)
-    kinds = (_U, _U, np.int64, np.int64, np.int64)
-    return dict(zip(("h", "c", "row", "start", "n"), (np.concatenate(x) if x else np.zeros(0, k) for x, k in zip(out, kinds))))
+    kinds = (_U, _U, np.int64, np.int64, np.int64, np.int64, _U, _U)
+    return dict(zip(("h", "c", "row", "start", "n", "place", "left", "right"), (np.concatenate(x) if x else np.zeros(0, k) for x, k in zip(out, kinds))))
 
 
 def six(x: np.ndarray) -> bytes:
@@ -145,8 +149,12 @@ def _wide(raw: bytes, n: int) -> np.ndarray:
 PACKED = "bucket int, a binary, b binary, doc binary, start binary, n binary"
 
 
+def three(x: np.ndarray) -> np.ndarray:
+    return np.ascontiguousarray(x.astype("<u8")).view(np.uint8).reshape(-1, 8)[:, 5:]
+
+
 def pack(a, b, doc, start, n) -> pa.RecordBatch:
-    """One row of packed columns for each bucket, by the top bits of a."""
+    """One row of packed columns for each bucket, by the top bits of a. n: rows of small numbers for each entry."""
     bucket = (a >> _U(54)).astype(np.int64)  # BUCKETS of them
     order = np.argsort(bucket, kind="stable")
     cuts = np.searchsorted(bucket[order], np.arange(BUCKETS + 1))
@@ -154,7 +162,7 @@ def pack(a, b, doc, start, n) -> pa.RecordBatch:
     for i in range(BUCKETS):
         o = order[cuts[i] : cuts[i + 1]]
         if len(o):
-            for held, x in zip(cols, (i, six(a[o]), six(b[o]), _narrow(doc[o]), _narrow(start[o]), n[o].astype(np.uint8).tobytes())):
+            for held, x in zip(cols, (i, six(a[o]), six(b[o]), _narrow(doc[o]), _narrow(start[o]), n[o].tobytes())):
                 held.append(x)
     return pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), *(pa.array(c, pa.binary()) for c in cols[1:])], ["bucket", "a", "b", "doc", "start", "n"])
 
@@ -164,8 +172,8 @@ def unpack(batches) -> tuple[np.ndarray, ...] | None:
     for batch in batches:
         rows = batch.to_pydict()
         for a, b, doc, start, n in zip(rows["a"], rows["b"], rows["doc"], rows["start"], rows["n"]):
-            k = len(n)
-            for held, x in zip(got, (from_six(a), from_six(b), _wide(doc, k), _wide(start, k), np.frombuffer(n, np.uint8).astype(np.int64))):
+            k = len(a) // 6
+            for held, x in zip(got, (from_six(a), from_six(b), _wide(doc, k), _wide(start, k), np.frombuffer(n, np.uint8).reshape(k, -1))):
                 held.append(x)
     return tuple(np.concatenate(x) for x in got) if got[0] else None
 
@@ -240,11 +248,17 @@ def runs(docs: DataFrame, length: int) -> DataFrame:
                 gone, stay = order[late], order[first]
                 if len(gone):
                     yield _settled(*merged(doc[gone], r["start"][gone], r["start"][gone] + r["n"][gone] + length - 1))
-                yield pack(r["h"][stay], r["c"][stay], doc[stay], r["start"][stay], r["n"][stay])
+                small = np.column_stack([r["n"][stay].astype(np.uint8), r["place"][stay].astype(np.uint8), three(r["left"][stay]), three(r["right"][stay])])
+                yield pack(r["h"][stay], r["c"][stay], doc[stay], r["start"][stay], small)
 
     return docs.select("doc_id", "text").mapInArrow(run, PACKED)
 
 
+def _side(x: np.ndarray) -> np.ndarray:
+    x = x.astype(_U)
+    return x[:, 0] | x[:, 1] << _U(8) | x[:, 2] << _U(16)
+
+
 def copies(packed: DataFrame, length: int, partitions: int) -> DataFrame:
     """Spans of runs that came earlier, and the open runs."""
 
@@ -259,7 +273,8 @@ def copies(packed: DataFrame, length: int, partitions: int) -> DataFrame:
         del rest
         if got is None:
             return
-        a, b, doc, start, n = got
+        a, b, doc, start, small = got
+        n = small[:, 0].astype(np.int64)
         order, first, late = earliest(a, b, doc, start)
         gone = order[late]
         yield _spans(*merged(doc[gone], start[gone], start[gone] + n[gone] + length - 1), False)
@@ -270,7 +285,19 @@ def copies(packed: DataFrame, length: int, partitions: int) -> DataFrame:
         several[1:] |= same
         several[:-1] |= same
         o = heads[several]
-        yield _spans(*merged(doc[o], start[o], start[o] + n[o] + length - 1), True)
+        if small.shape[1] < 8 or not len(o):
+            return
+        # an equal string shares the longer side of its rest: runs alone with theirs have none there
+        place = small[o, 1].astype(np.int64)
+        half = (length - GRAM) // 2
+        left, right = (np.unique(a[o] ^ mix64(_side(small[o, i : i + 3])), return_inverse=True, return_counts=True)[1:] for i in (2, 5))
+        left, right = left[1][left[0]] > 1, right[1][right[0]] > 1
+        nearest = place - n[o] + 1  # places of the anchor in the run's strings: nearest to place
+        from_ = np.where(right, nearest, np.maximum(nearest, half))
+        to = np.where(left, place, np.minimum(place, half - 1))
+        keep = from_ <= to
+        o, anchor, from_, to = o[keep], (start[o] + place)[keep], from_[keep], to[keep]
+        yield _spans(*merged(doc[o], anchor - to, anchor - from_ + length), True)
 
     return packed.repartition(partitions, "bucket").mapInArrow(run, SPANS)
 
@@ -278,42 +305,62 @@ def copies(packed: DataFrame, length: int, partitions: int) -> DataFrame:
 # --- enhanced suffix arrays
 
 
-def suffix_array(text: np.ndarray, depth: int) -> tuple[np.ndarray, np.ndarray]:
+def suffix_array(text: np.ndarray, depth: int, least: int = 1) -> tuple[np.ndarray, np.ndarray]:
     """(suffixes in order, common prefix of each with the one before), both by their first `depth` or more symbols.
 
-    text: whole numbers; a symbol that occurs once ends every common prefix. Ranks double in reach each round.
+    text: whole numbers; a symbol that occurs once ends every common prefix. Ranks start from four packed symbols and
+    double in reach each round, for suffixes that still share theirs. Common prefixes under `least` may be given as 0.
     """
     n = len(text)
-    rank = np.unique(text, return_inverse=True)[1].astype(np.int64)
-    ranks, reach = [rank], 1
-    order = np.argsort(rank, kind="stable")
+    if not n:
+        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+    text = np.unique(text, return_inverse=True)[1].astype(np.int64) if n and (text.min() < 0 or text.max() >= 1 << 30) else text
+    two = text << 31
+    two[:-1] |= text[1:] + 1
+    pairs = np.unique(two, return_inverse=True)[1].astype(np.int64)
+    key = pairs * (n + 1)
+    key[:-2] += pairs[2:] + 1
+    order = np.argsort(key)
+    new = np.concatenate([[True], key[order][1:] != key[order][:-1]])
+    head = np.maximum.accumulate(np.where(new, np.arange(n), 0))
+    rank = np.empty(n, np.int64)  # where a suffix's group begins in the order
+    rank[order] = head
+    levels, reach = [text, pairs, rank.copy()], 4
     while reach < depth:
-        ahead = np.zeros(n, np.int64)
-        ahead[: n - reach] = rank[reach:] + 1 if reach < n else 0
-        key = rank * (n + 1) + ahead
-        order = np.argsort(key, kind="stable")
-        new = np.concatenate([[0], np.cumsum(key[order][1:] != key[order][:-1])])
-        rank = np.empty(n, np.int64)
-        rank[order] = new
-        ranks.append(rank)
+        size = np.bincount(rank, minlength=n)
+        live = order[size[rank[order]] > 1]
+        if len(live):
+            ahead = np.zeros(len(live), np.int64)
+            inside = live + reach < n
+            ahead[inside] = rank[live[inside] + reach] + 1
+            group = rank[live]
+            by = np.lexsort((ahead, group)) if n > 1 << 31 else np.argsort(group * (n + 1) + ahead)
+            live, group, ahead = live[by], group[by], ahead[by]
+            i = np.arange(len(live))
+            begins = np.concatenate([[True], group[1:] != group[:-1]])
+            parts = begins | np.concatenate([[True], ahead[1:] != ahead[:-1]])
+            at = group + i - np.maximum.accumulate(np.where(begins, i, 0))
+            order[at] = live
+            rank = rank.copy()
+            rank[live] = at[np.maximum.accumulate(np.where(parts, i, 0))]
+        levels.append(rank)
         reach *= 2
     common = np.zeros(n, np.int64)
-    a, b = order[1:].copy(), order[:-1].copy()
-    total = np.zeros(n - 1, np.int64) if n else np.zeros(0, np.int64)
-    for level in range(len(ranks) - 1, -1, -1):
+    top = max((i for i in range(len(levels)) if 1 << i <= max(least, 1)), default=0)
+    near = np.nonzero(levels[top][order[1:]] == levels[top][order[:-1]])[0] + 1
+    a, b = order[near].copy(), order[near - 1].copy()
+    total = np.zeros(len(near), np.int64)
+    for level in range(len(levels) - 1, -1, -1):
         step = 1 << level
-        while True:
-            ok = (a < n) & (b < n)
-            same = np.zeros(len(a), bool)
-            same[ok] = ranks[level][a[ok]] == ranks[level][b[ok]]
-            # a rank's reach must lie inside the text, or its end was compared as blank
-            same &= (a + step <= n) & (b + step <= n)
+        while len(a):
+            same = (a + step <= n) & (b + step <= n)
+            same[same] = levels[level][a[same]] == levels[level][b[same]]
             total[same] += step
             a[same] += step
             b[same] += step
-            if level < len(ranks) - 1 or not same.any():
+            if level < len(levels) - 1 or not same.any():
                 break
-    common[1:] = total
+    common[near] = total
     return order, common
 
 
@@ -362,7 +409,7 @@ def repeats_of(texts: list[bytes], least: int) -> list[tuple[int, list[tuple[int
     if not texts:
         return []
     joined, owner, place, left = _join(texts)
-    order, common = suffix_array(joined, max(least, max(map(len, texts))))
+    order, common = suffix_array(joined, max(least, max(map(len, texts))), least)
     return [(size, sorted((int(owner[p]), int(place[p])) for p in at)) for size, at in maximal_repeats(order, common, left, least)]
 
 
@@ -385,13 +432,13 @@ def open_spans(docs: DataFrame, spans: DataFrame, length: int) -> DataFrame:
     def settle(ids, texts, lists):
         parts, doc, base = [], [], []
         for i, t, spans_ in zip(ids, texts, lists):
-            for s in spans_:
-                parts.append(t[s["start"] : s["stop"]])
+            for start, stop in joined_spans(sorted(spans_, key=lambda s: s["start"])):
+                parts.append(t[start:stop])
                 doc.append(i)
-                base.append(s["start"])
+                base.append(start)
         doc, base = np.array(doc, np.int64), np.array(base, np.int64)
         joined, owner, place, left = _join(parts)
-        order, common = suffix_array(joined, length)
+        order, common = suffix_array(joined, length, length)
         gone: list[list[int]] = [[], [], []]
         late = np.zeros(len(joined), bool)
         for size, at in maximal_repeats(order, common, left, length):
@@ -410,7 +457,7 @@ def open_spans(docs: DataFrame, spans: DataFrame, length: int) -> DataFrame:
         p = np.nonzero(~late & (place + length <= sizes[owner]))[0]
         if len(p):
             a, b = Hashes(data, 21).of(p, p + length), Hashes(data, 22).of(p, p + length)
-            yield pack(a, b, doc[owner[p]], base[owner[p]] + place[p], np.ones(len(p), np.int64))
+            yield pack(a, b, doc[owner[p]], base[owner[p]] + place[p], np.ones((len(p), 1), np.uint8))
 
     def run(batches):
         for batch in batches:
@@ -446,8 +493,11 @@ def joined_spans(spans) -> list[tuple[int, int]]:
 
 
 def with_spans(docs: DataFrame, length: int) -> DataFrame:
+    """docs(doc_id, text) with spans. Rows with an id go the way open_spans deals them, so that one exchange serves both."""
+    named = docs.filter("doc_id is not null")
     got = removed(docs, length)
-    return docs.join(got, "doc_id", "left")
+    nameless = docs.filter("doc_id is null").withColumn("spans", F.lit(None).cast(got.schema["spans"].dataType))
+    return named.join(got, "doc_id", "left").unionByName(nameless)
 
 
 def whole_characters(raw: bytes, spans: list[tuple[int, int]]) -> str:
