@@ -38,8 +38,8 @@ from .tokenization import row_slices
 
 GRAM = 24
 BUCKETS = 1024
-_BATCH = 8 << 20
-_PART = 2 << 20
+_BATCH = 4 << 20
+_PART = 1 << 20
 _U = np.uint64
 
 
@@ -465,7 +465,7 @@ def open_spans(docs: DataFrame, spans: DataFrame, length: int) -> DataFrame:
             lo, size = 0, 0
             for i, spans_ in enumerate(lists):
                 size += sum(s["stop"] - s["start"] for s in spans_)
-                if size > 2 << 20 or i == len(lists) - 1:
+                if size > 1 << 20 or i == len(lists) - 1:
                     yield from settle(ids[lo : i + 1], texts[lo : i + 1], lists[lo : i + 1])
                     lo, size = i + 1, 0
 
