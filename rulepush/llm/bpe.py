@@ -25,6 +25,7 @@ import regex
 
 from pyspark.sql import DataFrame
 
+from .common import small_batches
 from .tokenization import load, row_slices
 
 _LOADED: dict = {}
@@ -189,6 +190,7 @@ def word_bpe(path: str) -> WordBpe:
 
 def encode_decode(docs: DataFrame, tokenizer: str) -> DataFrame:
     """Rows of docs(doc_id, text) as (doc_id, n_tokens, ids binary, decoded string)."""
+    small_batches(docs.sparkSession)
 
     def run(batches):
         bpe = word_bpe(tokenizer)
@@ -205,6 +207,7 @@ def encode_decode(docs: DataFrame, tokenizer: str) -> DataFrame:
 
 def encode_digests(docs: DataFrame, tokenizer: str) -> DataFrame:
     """Operator 4's query: (doc_id, n_tokens, ids_sha256, decoded_sha256), digested where the ids are made."""
+    small_batches(docs.sparkSession)
 
     def run(batches):
         bpe = word_bpe(tokenizer)

@@ -8,7 +8,7 @@ count sketch over all documents: its size is fixed, and its error is a fixed sha
 Improved consistent weighted sampling draws, for each of bands * rows hashes, the shingle and level of least
 ln a; equal draws happen with the probability of weighted Jaccard similarity. Draws are banded. In each bucket all
 members are compared with one pivot, exactly; then pairs of members in different components that the pivot does not
-rule out by the triangle inequality (1 - weighted Jaccard is a metric). So no pair of different components that shares a
+rule out, by the triangle inequality (1 - weighted Jaccard is a metric) or by the weights they share with it. So no pair of different components that shares a
 bucket and may reach the threshold stays unverified, and no bucket is expanded into all pairs of its copies.
 Components of verified links are the classes.
 
@@ -24,17 +24,23 @@ import hashlib
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import xxhash
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import saved, shuffle_partitions, table
+from .common import saved, shuffle_partitions, small_batches, table
 from .tokenization import row_slices
 
 UNIT = 64  # weights are whole multiples of 1 / UNIT
 FLOOR = 1e-3
 SKETCH_ROWS, SKETCH_BITS, CHUNK_BITS = 2, 20, 14
 _MIX = np.uint64(0x9E3779B97F4A7C15)
+_U = np.uint64
+#: Odd multipliers of no meaning, one for each place in a shingle.
+_ODD = [1]
+while len(_ODD) < 16:
+    _ODD.append(_ODD[-1] * 0x9E3779B97F4A7C15 % (1 << 64))
 _WORD_CODES: dict[str, int] = {}
 
 
@@ -45,11 +51,12 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(32))
 
 
-def _learn_words(new) -> None:
-    if len(_WORD_CODES) > 400_000:
+def _learn_words(words: list[str]) -> None:
+    """Codes of all these words; the cache is emptied before it outgrows its bound, never between learning and use."""
+    if len(_WORD_CODES) > 150_000:
         _WORD_CODES.clear()
-    for w in new:
-        _WORD_CODES[w] = int.from_bytes(hashlib.blake2b(w.encode("utf-8", "replace"), digest_size=8).digest(), "little")
+    for w in {w for w in words if w not in _WORD_CODES}:
+        _WORD_CODES[w] = xxhash.xxh3_64_intdigest(w.encode("utf-8", "replace"))
 
 
 def shingles(text: str | None, width: int = 5) -> tuple[np.ndarray, np.ndarray]:
@@ -60,13 +67,13 @@ def shingles(text: str | None, width: int = 5) -> tuple[np.ndarray, np.ndarray]:
     try:
         codes = np.fromiter(map(_WORD_CODES.__getitem__, words), np.uint64, len(words))
     except KeyError:
-        _learn_words({w for w in words if w not in _WORD_CODES})
-        _learn_words({w for w in words if w not in _WORD_CODES})
+        _learn_words(words)
         codes = np.fromiter(map(_WORD_CODES.__getitem__, words), np.uint64, len(words))
     k = min(width, len(words))
-    h = np.zeros(len(words) - k + 1, np.uint64)
-    for i in range(k):
-        h = mix64(h + _MIX + codes[i : i + len(h)])
+    h = codes[: len(words) - k + 1] + _U(k)
+    for i in range(1, k):
+        h = h + codes[i : i + len(h)] * _U(_ODD[i])
+    h = mix64(h)
     h.sort()
     new = np.empty(len(h), bool)
     new[0] = True
@@ -85,14 +92,25 @@ def frequency_sketch(docs: DataFrame, width: int = 5) -> tuple[np.ndarray, int]:
 
     def count(batches):
         held = np.zeros((SKETCH_ROWS, size), np.uint32)
-        n = 0
+        n, wait, waiting = 0, [], 0
+
+        def flush():
+            if wait:
+                for row, cells in zip(held, _cells(np.concatenate(wait))):
+                    row += np.bincount(cells, minlength=size).astype(np.uint32)
+                wait.clear()
+
         for b in batches:
             for at, m in row_slices(b.column(0)):
                 for t in b.column(0).slice(at, m).to_pylist():
                     h, _ = shingles(t, width)
                     n += 1
-                    for row, cells in zip(held, _cells(h)):
-                        np.add.at(row, cells, 1)
+                    wait.append(h)
+                    waiting += len(h)
+                    if waiting > 1 << 20:
+                        flush()
+                        waiting = 0
+        flush()
         flat = held.reshape(-1, chunk)
         ids = [i for i in range(len(flat)) if flat[i].any()]
         yield pa.RecordBatch.from_arrays([pa.array([*ids, -1], pa.int32()), pa.array([*(_packed(flat[i]) for i in ids), np.array([n], "<i8").tobytes()], pa.binary())], ["chunk", "counts"])
@@ -148,60 +166,100 @@ def weights(h: np.ndarray, tf: np.ndarray, idf: np.ndarray) -> np.ndarray:
     return tf * level.astype(np.int64)
 
 
+#: The weight of a rare shingle that occurs once: most shingles have it.
+USUAL = round(UNIT * 1.5)
+
+
 class Sampler:
-    """Consistent weighted samples. A shingle's r, c and beta for a hash come from a table by 16 scrambled bits of it."""
+    """Consistent weighted samples of many documents at once.
 
-    BITS = 16
+    For a hash, a shingle's r, c and beta come from a table by the top bits of its scrambled product. Among shingles of
+    the usual weight ln a depends on the table entry alone, so their least is found by the entries' ranks, ties by
+    the product's next bits; the others are computed in full.
+    """
+
+    BITS = 12
 
     def __init__(self, hashes: int, seed: int = 7):
         rng = np.random.default_rng(seed)
         n = 1 << self.BITS
-        self.multiply = rng.integers(1, 1 << 63, hashes, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+        self.multiply = rng.integers(1, 1 << 63, hashes, dtype=_U) * _U(2) + _U(1)
         self.r = rng.gamma(2, 1, (hashes, n)).astype(np.float32)
         self.log_c = np.log(rng.gamma(2, 1, (hashes, n))).astype(np.float32)
         self.beta = rng.random((hashes, n), dtype=np.float32)
-        self.common: dict[int, list[np.ndarray]] = {}
+        every = np.arange(n)
+        self.rank = np.empty((hashes, n), np.int64)
+        for k in range(hashes):
+            self.rank[k, np.argsort(self._ln_a(k, every, np.float32(np.log(USUAL / UNIT)))[0], kind="stable")] = every << 48  # below: tie bits, place
 
     def _ln_a(self, k: int, at, log_w):
         r = self.r[k, at]
         t = np.floor(log_w / r + self.beta[k, at])
         return self.log_c[k, at] - r * (t - self.beta[k, at]) - r, t
 
-    def sample(self, h: np.ndarray, w: np.ndarray) -> np.ndarray:
-        """One number for each hash, equal for two documents with the probability of their similarity."""
+    def sample(self, h: np.ndarray, w: np.ndarray, starts: np.ndarray) -> np.ndarray:
+        """(documents, hashes): numbers that two documents share with the probability of their similarity.
+
+        starts: where each document's shingles begin in h and w, all non-empty.
+        """
+        docs, mixed = len(starts), mix64(h)
+        owner = np.repeat(np.arange(docs), np.diff(np.append(starts, len(h))))
         log_w = np.log(w / UNIT).astype(np.float32)
-        top = int(np.bincount(w).argmax())  # the weight most shingles share: its ln a is a table of its own
-        if top not in self.common and len(self.common) < 8:
-            every = np.arange(1 << self.BITS)
-            self.common[top] = [self._ln_a(k, every, np.float32(np.log(top / UNIT)))[0] for k in range(len(self.multiply))]
-        table_ = self.common.get(top)
-        odd = np.nonzero(w != top)[0] if table_ is not None else None
-        mixed = mix64(h)
-        picked = np.empty(len(self.multiply), np.int64)
-        level = np.empty(len(self.multiply), np.int64)
+        usual, odd = np.nonzero(w == USUAL)[0], np.nonzero(w != USUAL)[0]
+        heads = lambda at: np.nonzero(np.concatenate([[True], owner[at][1:] != owner[at][:-1]]))[0] if len(at) else at
+        u_heads, o_heads = heads(usual), heads(odd)
+        u_docs, o_docs = owner[usual][u_heads], owner[odd][o_heads]
+        o_owner = np.repeat(np.arange(len(o_docs)), np.diff(np.append(o_heads, len(odd))))
+        u_mixed, o_mixed, o_log = mixed[usual], mixed[odd], log_w[odd]
+        place = np.arange(len(usual), dtype=np.int64)
+        if len(usual) >= 1 << 24:
+            raise ValueError("too many shingles at once")
+        out = np.empty((docs, len(self.multiply)), _U)
+        low, ties = _U(64 - self.BITS), _U(0xFFFFFF << 24)
+        x, entry, key = np.empty(len(usual), _U), np.empty(len(usual), _U), np.empty(len(usual), np.int64)
         for k, m in enumerate(self.multiply):
-            at = ((mixed * m) >> np.uint64(64 - self.BITS)).astype(np.int32)
-            if table_ is None:
-                ln_a = self._ln_a(k, at, log_w)[0]
-            else:
-                ln_a = table_[k][at]
-                if len(odd):
-                    ln_a[odd] = self._ln_a(k, at[odd], log_w[odd])[0]
-            best = int(np.argmin(ln_a))  # h is sorted: ties go to the smaller shingle in every document
-            picked[k], level[k] = best, int(self._ln_a(k, at[best], log_w[best])[1])
-        return mix64(mixed[picked] + _MIX * level.astype(np.uint64))
+            best = np.full(docs, np.inf, np.float64)
+            pick = np.zeros(docs, np.int64)
+            level = np.zeros(docs, np.int64)
+            if len(usual):
+                np.multiply(u_mixed, m, out=x)
+                np.right_shift(x, low, out=entry)
+                np.take(self.rank[k], entry.view(np.int64), out=key, mode="clip")
+                np.bitwise_and(x, ties, out=x)
+                np.bitwise_or(key, x.view(np.int64), out=key)
+                np.bitwise_or(key, place, out=key)
+                won = np.minimum.reduceat(key, u_heads) & 0xFFFFFF
+                best[u_docs], level[u_docs] = self._ln_a(k, entry[won].view(np.int64), np.float32(np.log(USUAL / UNIT)))
+                pick[u_docs] = usual[won]
+            if len(odd):
+                z = o_mixed * m
+                ln_a, t = self._ln_a(k, (z >> low).view(np.int64), o_log)
+                least = np.minimum.reduceat(ln_a, o_heads)
+                hit = np.nonzero(ln_a == least[o_owner])[0]
+                hit = hit[np.lexsort((z[hit], o_owner[hit]))]
+                won = hit[np.concatenate([[True], o_owner[hit][1:] != o_owner[hit][:-1]])]
+                better = ln_a[won] < best[o_docs]
+                at = o_docs[better]
+                pick[at], level[at] = odd[won[better]], t[won[better]]
+            out[:, k] = mixed[pick] + _MIX * level.astype(_U)
+        return mix64(out)
 
 
 def similarity(ha, wa, hb, wb) -> float:
-    """Weighted Jaccard of two sparse whole-weight vectors."""
-    _, ia, ib = np.intersect1d(ha, hb, assume_unique=True, return_indices=True)
-    low = int(np.minimum(wa[ia], wb[ib]).sum())
-    every = int(wa.sum() + wb.sum()) - low
-    return low / every if every else 1.0
+    """Weighted Jaccard of two sparse whole-weight vectors with ascending hashes."""
+    if not len(ha) or not len(hb):
+        return float(len(ha) == len(hb))
+    at = np.minimum(np.searchsorted(hb, ha), len(hb) - 1)
+    both = hb[at] == ha
+    low = int(np.minimum(wa[both], wb[at[both]]).sum())
+    return low / (int(wa.sum() + wb.sum()) - low)
 
 
 def profiles(docs: DataFrame, idf: np.ndarray, bands: int, rows: int, width: int) -> DataFrame:
-    """(doc_id, profile, bands, hashes, weights) of documents with words. profile: digest of the weighted shingles."""
+    """(doc_id, profile, total, bands, hashes, weights) of documents with words.
+
+    profile: digest of the weighted shingles; total: sum of their weights.
+    """
     held = docs.sparkSession.sparkContext.broadcast(idf)
     samplers: dict = {}
 
@@ -210,41 +268,48 @@ def profiles(docs: DataFrame, idf: np.ndarray, bands: int, rows: int, width: int
         sampler = samplers.setdefault("s", Sampler(bands * rows))
         seen: dict[bytes, list[int]] = {}
         for b in batches:
-            for at, n in row_slices(b.column(1), 4 << 20):
-                out = []
+            for at, n in row_slices(b.column(1), 2 << 20):
+                out, fresh = [], {}
                 for i, t in zip(b.column(0).slice(at, n).to_pylist(), b.column(1).slice(at, n).to_pylist()):
                     h, tf = shingles(t, width)
                     if i is None or not len(h):
                         continue
                     w = weights(h, tf, levels)
-                    raw, raw_w = h.astype("<u8").tobytes(), w.astype("<u4").tobytes()
-                    digest = hashlib.blake2b(raw + raw_w, digest_size=16).digest()
-                    got = seen.get(digest)
-                    if got is None:
-                        drawn = sampler.sample(h, w).reshape(bands, rows)
-                        key = np.zeros(bands, np.uint64)
-                        for j in range(rows):
-                            key = mix64(key * _MIX + drawn[:, j])
-                        got = key.view(np.int64).tolist()
-                        if len(seen) < 20_000:
-                            seen[digest] = got
-                    small = (h >> np.uint64(16)).astype("<u8")
-                    out.append((i, digest, got, small.view(np.uint8).reshape(-1, 8)[:, :6].tobytes(), w.astype("<u2").tobytes() if w.max() < 1 << 16 else raw_w))
+                    raw = h.astype("<u8").tobytes()
+                    digest = hashlib.blake2b(raw + w.astype("<u4").tobytes(), digest_size=16).digest()
+                    if digest not in seen:
+                        fresh[digest] = (h, w)
+                    small = (h >> _U(32)).astype("<u4").tobytes()
+                    out.append([i, digest, None, int(w.sum()), small, (w.astype("<u2") if w.max() < 1 << 16 else w.astype("<u4")).tobytes()])
+                if fresh:
+                    sizes = np.array([len(h) for h, _ in fresh.values()])
+                    drawn = sampler.sample(np.concatenate([h for h, _ in fresh.values()]), np.concatenate([w for _, w in fresh.values()]), np.cumsum(sizes) - sizes)
+                    drawn = drawn.reshape(len(fresh), bands, rows)
+                    key = np.zeros((len(fresh), bands), _U)
+                    for j in range(rows):
+                        key = mix64(key * _MIX + drawn[:, :, j])
+                    fresh = dict(zip(fresh, key.view(np.int64).tolist()))
+                for o in out:
+                    o[2] = fresh[o[1]] if o[1] in fresh else seen[o[1]]
+                if len(seen) > 5_000:
+                    seen.clear()
+                seen |= fresh
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array([o[0] for o in out], pa.int64()), pa.array([o[1] for o in out], pa.binary()), pa.array([o[2] for o in out], pa.list_(pa.int64())), pa.array([o[3] for o in out], pa.binary()), pa.array([o[4] for o in out], pa.binary())],
-                    ["doc_id", "profile", "bands", "hashes", "weights"],
+                    [pa.array([o[0] for o in out], pa.int64()), pa.array([o[1] for o in out], pa.binary()), pa.array([o[3] for o in out], pa.int64()), pa.array([o[2] for o in out], pa.list_(pa.int64())), pa.array([o[4] for o in out], pa.binary()), pa.array([o[5] for o in out], pa.binary())],
+                    ["doc_id", "profile", "total", "bands", "hashes", "weights"],
                 )
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, profile binary, bands array<long>, hashes binary, weights binary")
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, profile binary, total long, bands array<long>, hashes binary, weights binary")
 
 
 def unpack(hashes: bytes, packed: bytes) -> tuple[np.ndarray, np.ndarray]:
-    """Shingles by 48 of their bits, and their weights."""
-    n = len(hashes) // 6
-    wide = np.zeros((n, 8), np.uint8)
-    wide[:, :6] = np.frombuffer(hashes, np.uint8).reshape(n, 6)
-    w = np.frombuffer(packed, "<u2" if len(packed) == 2 * n else "<u4").astype(np.int64)
-    return wide.view("<u8").reshape(n), w
+    """Shingles by 32 of their bits, ascending, and their weights.
+
+    A false match of two documents of n shingles moves their similarity by 1 / n, with a chance of n * n / 2**32: by
+    n / 2**32 on average, under a ten-thousandth for 400,000 shingles.
+    """
+    n = len(hashes) // 4
+    return np.frombuffer(hashes, "<u4"), np.frombuffer(packed, "<u2" if len(packed) == 2 * n else "<u4").astype(np.int64)
 
 
 def verified(pairs: DataFrame, vectors: DataFrame) -> DataFrame:
@@ -282,8 +347,9 @@ def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
     raise RuntimeError("components did not settle")
 
 
-def classes(docs: DataFrame, threshold: float = 0.8, bands: int = 20, rows: int = 5, width: int = 5) -> DataFrame:
+def classes(docs: DataFrame, threshold: float = 0.8, bands: int = 32, rows: int = 8, width: int = 5) -> DataFrame:
     """(doc_id, class_id): class_id is the least doc_id of the documents linked, directly or not, by similarity >= threshold."""
+    small_batches(docs.sparkSession)
     sketch, n = frequency_sketch(docs, width)
     every = saved(profiles(docs, idf_levels(sketch, n), bands, rows, width), "profiles")
     rep_of = every.groupBy("profile").agg(F.min("doc_id").alias("rep"))
@@ -291,22 +357,22 @@ def classes(docs: DataFrame, threshold: float = 0.8, bands: int = 20, rows: int
     buckets = reps.select("doc_id", F.posexplode("bands").alias("band", "key")).select("doc_id", F.xxhash64("band", "key").alias("bucket"))
     pivots = buckets.groupBy("bucket").agg(F.min("doc_id").alias("pivot"), F.count(F.lit(1)).alias("n")).filter("n > 1").select("bucket", "pivot")
     members = saved(buckets.join(pivots, "bucket"), "members")
-    vectors = every.select("doc_id", "hashes", "weights").join(members.select("doc_id").distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    vectors = every.select("doc_id", "total", "hashes", "weights").join(members.select("doc_id").distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id"])
     vectors = saved(vectors, "vectors")
     star = members.filter("doc_id <> pivot").select(F.col("pivot").alias("a"), F.col("doc_id").alias("b")).distinct()
     first = saved(verified(star, vectors), "first")
     links = first.filter(F.col("similarity") >= threshold)
     root = components(links)
-    # what the pivots leave open: members of one bucket, in different components, near enough by the triangle inequality
-    placed = members.join(first.select(F.col("a").alias("pivot"), F.col("b").alias("doc_id"), "similarity"), ["pivot", "doc_id"], "left")
-    placed = placed.join(root.withColumnRenamed("id", "doc_id"), "doc_id", "left").select("bucket", "doc_id", "pivot", F.coalesce("similarity", F.lit(1.0)).alias("s"), F.coalesce("root", "doc_id").alias("root"))
-    split = placed.groupBy("bucket").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo <> hi").select("bucket")
-    rest = saved(placed.join(split, "bucket").filter("doc_id <> pivot"), "rest")
-    outside = rest.filter(F.col("s") < threshold).select("bucket", F.col("doc_id").alias("a"), F.col("s").alias("sa"), F.col("root").alias("ra"))
-    other = rest.select("bucket", F.col("doc_id").alias("b"), F.col("s").alias("sb"), F.col("root").alias("rb"))
-    near = (F.col("ra") != F.col("rb")) & (F.abs(F.col("sa") - F.col("sb")) <= 1 - threshold + 1e-9) & ((F.col("sb") >= threshold) | (F.col("a") < F.col("b")))
-    open_ = outside.join(other, "bucket").filter(near).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    more = verified(open_.join(first.select("a", "b"), ["a", "b"], "left_anti"), vectors).filter(F.col("similarity") >= threshold)
+    # what the pivots leave open: members of one bucket, in different components, near enough by what both share with the pivot
+    totals = vectors.select("doc_id", "total")
+    shared = first.join(totals.select(F.col("doc_id").alias("a"), F.col("total").alias("ta")), "a").join(totals.select(F.col("doc_id").alias("b"), F.col("total").alias("tb")), "b")
+    part = F.col("similarity") * (F.col("ta") + F.col("tb")) / (1 + F.col("similarity"))
+    shared = shared.select(F.col("a").alias("pivot"), F.col("b").alias("doc_id"), "similarity", F.col("tb").cast("double").alias("t"), part.alias("p"))
+    placed = members.filter("doc_id <> pivot").join(shared, ["pivot", "doc_id"]).join(root.withColumnRenamed("id", "doc_id"), "doc_id", "left")
+    placed = placed.join(root.select(F.col("id").alias("pivot"), F.col("root").alias("_pr")), "pivot", "left")
+    placed = placed.select("bucket", "doc_id", "similarity", "t", "p", F.coalesce("root", "doc_id").alias("root"), F.coalesce("_pr", "pivot").alias("pivot_root"))
+    split = placed.groupBy("bucket").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("n")).filter("lo <> hi").select("bucket", "n")
+    more = open_links(placed.join(split, "bucket"), vectors, threshold)
     more = saved(more, "more")
     if not more.isEmpty():
         root = components(links.select("a", "b").union(more.select("a", "b")))
@@ -315,6 +381,38 @@ def classes(docs: DataFrame, threshold: float = 0.8, bands: int = 20, rows: int
     return docs.select("doc_id").join(named, F.col("doc_id") == F.col("_id"), "left").select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"))
 
 
+def open_links(rest: DataFrame, vectors: DataFrame, threshold: float, block: int = 16) -> DataFrame:
+    """Verified links (a, b) between different components of a bucket that the bucket's pivot does not rule out.
+
+    rest: (bucket, doc_id, similarity to the pivot, t: total, p: weight shared with the pivot, root, n: bucket's size).
+    Blocks of a bucket's members meet blocks; pairs are ruled out or compared inside, and only links come out.
+    """
+    lanes = F.ceil(F.col("n") / block)
+    full = rest.withColumn("lane", F.pmod(F.xxhash64("doc_id"), lanes)).join(vectors.select("doc_id", "hashes", "weights"), "doc_id")
+    blocks = full.groupBy("bucket", "lane").agg(F.collect_list(F.struct("doc_id", "similarity", "t", "p", "root", "hashes", "weights")).alias("m"))
+    left = blocks.select("bucket", F.col("lane").alias("la"), F.col("m").alias("ma"))
+    right = blocks.select("bucket", F.col("lane").alias("lb"), F.col("m").alias("mb"))
+
+    def run(batches):
+        for batch in batches:
+            out = []
+            for i in range(batch.num_rows):
+                x, y = (batch.column(c)[i].as_py() for c in range(2))
+                col = lambda rows, k: np.array([r[k] for r in rows])
+                s, t, p, root, ids = ([col(x, k)[:, None], col(y, k)[None, :]] for k in ("similarity", "t", "p", "root", "doc_id"))
+                most = np.minimum(*p) + np.minimum(t[0] - p[0], t[1] - p[1])
+                near = (root[0] != root[1]) & (ids[0] != ids[1]) & (np.abs(s[0] - s[1]) <= 1 - threshold + 1e-9)
+                near &= most * (1 + threshold) + 1e-6 >= threshold * (t[0] + t[1])
+                for j, k in zip(*np.nonzero(near)):
+                    a, b = x[j], y[k]
+                    if similarity(*unpack(a["hashes"], a["weights"]), *unpack(b["hashes"], b["weights"])) >= threshold:
+                        out.append((min(a["doc_id"], b["doc_id"]), max(a["doc_id"], b["doc_id"])))
+            yield pa.RecordBatch.from_arrays([pa.array([o[0] for o in out], pa.int64()), pa.array([o[1] for o in out], pa.int64())], ["a", "b"])
+
+    met = left.join(right, "bucket").filter("la <= lb").select("ma", "mb")
+    return met.mapInArrow(run, "a long, b long").distinct()
+
+
 def one_of_each(docs: DataFrame, **options) -> DataFrame:
     """docs without the documents whose class has a smaller doc_id."""
     late = classes(docs, **options).filter("doc_id <> class_id").select("doc_id").distinct()

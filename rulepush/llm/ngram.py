@@ -21,7 +21,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import saved, table
+from .common import saved, small_batches, table
 
 #: Code 0 pads the start of a text, 1 stands for every character outside the alphabet.
 PAD, OTHER = 0, 1
@@ -159,6 +159,7 @@ def thresholds(scored: DataFrame, quantile: float, margin: float) -> tuple[dict[
 
 def judged(docs: DataFrame, labels: DataFrame, order: int = 3, alphabet: int = 64, quantile: float = 0.99, margin: float = 1.1) -> DataFrame:
     """docs with _ppl, _limit and _kept."""
+    small_batches(docs.sparkSession)
     trusted = saved(trusted_documents(docs.select("doc_id", "text", "lang"), labels), "trusted")
     model = train(trusted, order, alphabet)
     if model is None:

@@ -25,7 +25,7 @@ import pyarrow.fs as pafs
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import scratch
+from .common import scratch, small_batches
 from .tokenization import encoder, row_slices
 
 #: Reversed CRC-32C polynomial and the mask's constant (fixed values of the public record format).
@@ -120,6 +120,7 @@ def write_records(docs: DataFrame, path: str, tokenizer: str, end_id: int = 2, s
     Null texts are empty and give one record of end_id alone; null doc_ids come first; rows that repeat a
     doc_id give a record each, next to one another; an empty table gives no shard and an empty index.
     """
+    small_batches(docs.sparkSession)
     spark = docs.sparkSession
     total = docs.select(F.sum(F.octet_length("text"))).first()[0] or 0
     shards = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-total // shard_bytes))

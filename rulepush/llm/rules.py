@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import WORD, saved, table
+from .common import WORD, saved, small_batches, table
 from .tokenization import row_slices
 
 #: Characters that count as symbols (fixed value of the contract).
@@ -62,6 +62,7 @@ def statistics_of(text: str) -> tuple[int, ...]:
 
 def statistics(docs: DataFrame) -> DataFrame:
     """(doc_id, statistics) of each row of docs(doc_id, text)."""
+    small_batches(docs.sparkSession)
 
     def run(batches):
         for batch in batches:

@@ -33,7 +33,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import saved, table
+from .common import saved, small_batches, table
 from .tokenization import row_slices
 
 GRAM = 24
@@ -475,6 +475,7 @@ def open_spans(docs: DataFrame, spans: DataFrame, length: int) -> DataFrame:
 
 def removed(docs: DataFrame, length: int = 100) -> DataFrame:
     """(doc_id, spans): the spans of each document's bytes that go, in order, where there are any."""
+    small_batches(docs.sparkSession)
     partitions = max(16, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
     first = saved(copies(runs(docs, length), length, partitions), "spans")
     second = copies(open_spans(docs, first, length), length, partitions)

@@ -17,6 +17,8 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
+from .common import small_batches
+
 _LOADED: dict = {}
 #: A space after an ASCII letter or digit: byte-level pre-tokens start there, and never hold it inside.
 _SAFE = re.compile(r"[A-Za-z0-9] ")
@@ -87,6 +89,7 @@ def count_tokens(docs: DataFrame, tokenizer: str, limit: int = 1024, batch_chars
     Other columns are ignored; repeated rows are counted each; an empty table gives an empty result; a null
     text has 0 bytes and 0 tokens; a null doc_id stays null.
     """
+    small_batches(docs.sparkSession)
 
     def run(batches):
         tok = load(tokenizer)
