@@ -46,7 +46,7 @@ def byte_letters() -> list[str]:
 class WordBpe:
     """Exact encoder of single pre-tokens, and of texts through a bounded cache of pre-tokens."""
 
-    def __init__(self, path: str, keep: int = 250_000):
+    def __init__(self, path: str, keep: int = 120_000):
         spec = json.load(open(path, encoding="utf-8"))
         model = spec["model"]
         self.mark = model["end_of_word_suffix"]
@@ -109,7 +109,7 @@ class WordBpe:
         key = a << 20 | b
         got = self.beside.get(key)
         if got is None:
-            if len(self.beside) > 2_000_000:
+            if len(self.beside) > 300_000:
                 self.beside.clear()
             got = self.beside[key] = self._undisturbed(a, b, float("inf"))
         return got
@@ -141,10 +141,11 @@ class WordBpe:
             at = back[at]
         return out[::-1]
 
-    def _learn(self, words) -> None:
+    def _learn(self, words: list[str]) -> None:
+        """All these words; the cache is emptied before it outgrows its bound, never between learning and use."""
         if len(self.known) > self.keep:
             self.known.clear()
-        for w in words:
+        for w in {w for w in words if w not in self.known}:
             ids = self.encode_word(w.encode().decode("latin-1").translate(self.as_letters))
             self.known[w] = (np.array(ids, "<u4").tobytes(), " ".join(map(self.name.__getitem__, ids)))
 
@@ -169,9 +170,7 @@ class WordBpe:
             try:
                 got = list(map(known.__getitem__, words))
             except KeyError:
-                self._learn({w for w in words if w not in known})
-                if any(w not in known for w in words):
-                    self._learn({w for w in words if w not in known})
+                self._learn(words)
                 got = list(map(known.__getitem__, words))
             ids += [g[0] for g in got]
             said += [g[1] for g in got]

@@ -92,6 +92,7 @@ def plan(sizes: DataFrame, seed: int = 7, block_words: int = 64, shard_words: in
     base = per_source.select(source_key.alias("_source"), "source_size", "target", "block", "shards", "quota")
     mine = sizes.withColumn("_source", source_key).join(base, "_source")
     mine = mine.withColumn("_order", F.xxhash64(F.lit(seed), "_source", "doc_id", "size")).withColumn("_shard", F.pmod(F.xxhash64(F.lit(seed + 1), "_order"), F.col("shards")))
+    mine = mine.repartition("_source", "_shard")  # the join before left a source in one place
     per_shard = mine.groupBy("_source", "_shard").agg(F.sum("size").alias("shard_size"), F.first("quota").alias("quota"), F.first("block").alias("block"))
     per_shard = apportion(per_shard, ["_source"], "shard_size", "quota", "shard_quota")
     blocks = F.ceil(F.col("shard_size") / F.col("block")).cast("long")

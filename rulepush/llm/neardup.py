@@ -29,7 +29,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import saved, shuffle_partitions, small_batches, table
+from .common import drop, saved, shuffle_partitions, small_batches, table
 from .tokenization import row_slices
 
 UNIT = 64  # weights are whole multiples of 1 / UNIT
@@ -53,7 +53,7 @@ def mix64(x: np.ndarray) -> np.ndarray:
 
 def _learn_words(words: list[str]) -> None:
     """Codes of all these words; the cache is emptied before it outgrows its bound, never between learning and use."""
-    if len(_WORD_CODES) > 150_000:
+    if len(_WORD_CODES) > 100_000:
         _WORD_CODES.clear()
     for w in {w for w in words if w not in _WORD_CODES}:
         _WORD_CODES[w] = xxhash.xxh3_64_intdigest(w.encode("utf-8", "replace"))
@@ -377,7 +377,8 @@ def classes(docs: DataFrame, threshold: float = 0.8, bands: int = 32, rows: int
     if not more.isEmpty():
         root = components(links.select("a", "b").union(more.select("a", "b")))
     named = every.select("doc_id", "profile").join(rep_of, "profile").groupBy("doc_id").agg(F.min("rep").alias("rep"))
-    named = named.join(root.withColumnRenamed("id", "rep"), "rep", "left").select(F.col("doc_id").alias("_id"), F.coalesce("root", "rep").alias("class_id"))
+    named = saved(named.join(root.withColumnRenamed("id", "rep"), "rep", "left").select(F.col("doc_id").alias("_id"), F.coalesce("root", "rep").alias("class_id")), "classes")
+    drop(docs.sparkSession, every, members, vectors, first)
     return docs.select("doc_id").join(named, F.col("doc_id") == F.col("_id"), "left").select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"))
 
 

@@ -124,9 +124,11 @@ class CachedEncoder:
         self.keep, self.known = keep, {}
         self.split = regex.compile(BYTE_LEVEL).findall
 
-    def _learn(self, new: list[str]) -> None:
-        if len(self.known) + len(new) > self.keep:
+    def _learn(self, pieces: set[str]) -> None:
+        """All these pieces; the cache is emptied before it outgrows its bound, never between learning and use."""
+        if len(self.known) > self.keep:
             self.known.clear()
+        new = [p for p in pieces if p not in self.known]
         for at in range(0, len(new), 4096):
             part = new[at : at + 4096]
             for piece, enc in zip(part, self.tok.encode_batch_fast(part, add_special_tokens=False)):
@@ -145,13 +147,7 @@ class CachedEncoder:
                     )
                 else:
                     split[i] = self.split(t)
-            all_pieces = set().union(*split.values()) if split else set()
-            new = [p for p in all_pieces if p not in self.known]
-            if new:
-                before = len(self.known)
-                self._learn(new)
-                if len(self.known) < before + len(new):  # the cache was emptied
-                    self._learn([p for p in all_pieces if p not in self.known])
+            self._learn(set().union(*split.values()))
             get = self.known.__getitem__
             for i, pieces in split.items():
                 out[i] = b"".join(map(get, pieces))
