@@ -46,7 +46,7 @@ def byte_letters() -> list[str]:
 class WordBpe:
     """Exact encoder of single pre-tokens, and of texts through a bounded cache of pre-tokens."""
 
-    def __init__(self, path: str, keep: int = 120_000):
+    def __init__(self, path: str, keep: int = 100_000):
         spec = json.load(open(path, encoding="utf-8"))
         model = spec["model"]
         self.mark = model["end_of_word_suffix"]
@@ -109,7 +109,7 @@ class WordBpe:
         key = a << 20 | b
         got = self.beside.get(key)
         if got is None:
-            if len(self.beside) > 300_000:
+            if len(self.beside) > 200_000:
                 self.beside.clear()
             got = self.beside[key] = self._undisturbed(a, b, float("inf"))
         return got

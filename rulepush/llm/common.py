@@ -42,6 +42,19 @@ def small_batches(spark: SparkSession, rows: int = 1000) -> None:
         spark.conf.set(key, rows)
 
 
+def release_memory() -> None:
+    """Gives a worker's freed memory back to the machine: workers outlive their tasks."""
+    import ctypes
+
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
 def drop(spark: SparkSession, *tables: DataFrame) -> None:
     """Deletes the folders of saved tables that nothing will read again."""
     jvm, conf = spark._jvm, spark._jsc.hadoopConfiguration()

@@ -29,7 +29,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import drop, saved, shuffle_partitions, small_batches, table
+from .common import drop, release_memory, saved, shuffle_partitions, small_batches, table
 from .tokenization import row_slices
 
 UNIT = 64  # weights are whole multiples of 1 / UNIT
@@ -111,6 +111,7 @@ def frequency_sketch(docs: DataFrame, width: int = 5) -> tuple[np.ndarray, int]:
                         flush()
                         waiting = 0
         flush()
+        release_memory()
         flat = held.reshape(-1, chunk)
         ids = [i for i in range(len(flat)) if flat[i].any()]
         yield pa.RecordBatch.from_arrays([pa.array([*ids, -1], pa.int32()), pa.array([*(_packed(flat[i]) for i in ids), np.array([n], "<i8").tobytes()], pa.binary())], ["chunk", "counts"])
@@ -298,6 +299,7 @@ def profiles(docs: DataFrame, idf: np.ndarray, bands: int, rows: int, width: int
                     [pa.array([o[0] for o in out], pa.int64()), pa.array([o[1] for o in out], pa.binary()), pa.array([o[3] for o in out], pa.int64()), pa.array([o[2] for o in out], pa.list_(pa.int64())), pa.array([o[4] for o in out], pa.binary()), pa.array([o[5] for o in out], pa.binary())],
                     ["doc_id", "profile", "total", "bands", "hashes", "weights"],
                 )
+        release_memory()
 
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, profile binary, total long, bands array<long>, hashes binary, weights binary")
 

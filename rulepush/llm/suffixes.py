@@ -33,7 +33,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import saved, small_batches, table
+from .common import release_memory, saved, small_batches, table
 from .tokenization import row_slices
 
 GRAM = 24
@@ -53,11 +53,15 @@ def mix64(x):
 _BASE = 0x5851F42D4C957F2D
 
 
-@functools.lru_cache(4)
-def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Powers of an odd base, and of its inverse, modulo 2**64."""
-    run = lambda b: np.concatenate([np.ones(1, _U), np.cumprod(np.full(n, b, _U))])
-    return run(_BASE), run(pow(_BASE, -1, 1 << 64))
+_POWERS: list[np.ndarray] = []
+
+
+def _powers(n: int) -> list[np.ndarray]:
+    """At least n powers of an odd base, and of its inverse, modulo 2**64; kept until more are asked for."""
+    if not _POWERS or len(_POWERS[0]) < n:
+        size = -(-n // (1 << 20)) << 20
+        _POWERS[:] = [np.concatenate([np.ones(1, _U), np.cumprod(np.full(size - 1, b, _U))]) for b in (_BASE, pow(_BASE, -1, 1 << 64))]
+    return _POWERS
 
 
 @functools.lru_cache(8)
@@ -69,7 +73,7 @@ class Hashes:
     """Digest of any stretch of a buffer from prefix sums."""
 
     def __init__(self, data: np.ndarray, seed: int):
-        self.power, self.inverse = _powers((len(data) + (1 << 20)) >> 20 << 20)
+        self.power, self.inverse = _powers(len(data) + 1)
         self.prefix = np.zeros(len(data) + 1, _U)
         np.cumsum(_values(seed)[data] * self.power[: len(data)], out=self.prefix[1:])
 
@@ -250,6 +254,7 @@ def runs(docs: DataFrame, length: int) -> DataFrame:
                     yield _settled(*merged(doc[gone], r["start"][gone], r["start"][gone] + r["n"][gone] + length - 1))
                 small = np.column_stack([r["n"][stay].astype(np.uint8), r["place"][stay].astype(np.uint8), three(r["left"][stay]), three(r["right"][stay])])
                 yield pack(r["h"][stay], r["c"][stay], doc[stay], r["start"][stay], small)
+        release_memory()
 
     return docs.select("doc_id", "text").mapInArrow(run, PACKED)
 
@@ -298,6 +303,7 @@ def copies(packed: DataFrame, length: int, partitions: int) -> DataFrame:
         keep = from_ <= to
         o, anchor, from_, to = o[keep], (start[o] + place)[keep], from_[keep], to[keep]
         yield _spans(*merged(doc[o], anchor - to, anchor - from_ + length), True)
+        release_memory()
 
     return packed.repartition(partitions, "bucket").mapInArrow(run, SPANS)
 
@@ -468,6 +474,7 @@ def open_spans(docs: DataFrame, spans: DataFrame, length: int) -> DataFrame:
                 if size > 1 << 20 or i == len(lists) - 1:
                     yield from settle(ids[lo : i + 1], texts[lo : i + 1], lists[lo : i + 1])
                     lo, size = i + 1, 0
+            release_memory()
 
     lists = spans.filter("open").groupBy("doc_id").agg(F.collect_list(F.struct("start", "stop")).alias("spans"))
     return docs.select("doc_id", "text").join(lists, "doc_id").select("doc_id", "text", "spans").mapInArrow(run, PACKED)
