@@ -18,18 +18,24 @@ import numpy as np
 import pyarrow as pa
 import pandas as pd
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import saved, small_batches, table
 
 #: Code 0 pads the start of a text, 1 stands for every character outside the alphabet.
 PAD, OTHER = 0, 1
+#: Bins of a perplexity's logarithm, to a unit.
+STEPS = 2000
 
 
-def trusted_documents(docs: DataFrame, labels: DataFrame) -> DataFrame:
+def trusted_documents(docs: DataFrame, labels: DataFrame, broadcast_ids: int = 1_000_000) -> DataFrame:
+    """Up to broadcast_ids trusted ids go to the texts, which stay where they are; beyond it the texts are shuffled once and kept."""
     good = labels.groupBy("doc_id").agg(F.min("quality").alias("q"), F.max("toxic").alias("t")).filter("q = 1 and t = 0")
-    return docs.join(good.select("doc_id"), "doc_id", "left_semi")
+    good = saved(good.select("doc_id"), "trusted_ids")
+    if good.count() <= broadcast_ids:
+        return docs.join(F.broadcast(good), "doc_id", "left_semi")
+    return saved(docs.join(good.hint("merge"), "doc_id", "left_semi"), "trusted")
 
 
 def _codes(text: str) -> np.ndarray:
@@ -118,13 +124,15 @@ def train(trusted: DataFrame, order: int = 3, alphabet: int = 64) -> Model | Non
     for n in range(1, order + 1):
         d = discounts(levels[n])
         cut = F.element_at(F.array(*map(F.lit, d)), F.least(F.col("c"), F.lit(3)).cast("int"))
-        rows = levels[n].withColumn("left", F.greatest(F.col("c") - cut, F.lit(0.0))).withColumn("cut", F.least(cut, F.col("c").cast("double")))
+        rows = levels[n].withColumn("left", F.greatest(F.col("c") - cut, F.lit(0.0)))
+        # the mass cut off, from whole counts: sums of fractions would depend on their order
+        spare = sum(F.count(F.when(F.least("c", F.lit(3)) == i + 1, 1)) * x for i, x in enumerate(d)).alias("spare")
         context = [f"g{i}" for i in range(1, n)]
         if context:
-            sums = rows.groupBy(*context).agg(F.sum("c").alias("all"), F.sum("cut").alias("spare"))
+            sums = rows.groupBy(*context).agg(F.sum("c").alias("all"), spare)
             rows = rows.join(sums, context)
         else:
-            total = rows.agg(F.sum("c"), F.sum("cut")).first()
+            total = rows.agg(F.sum("c"), spare).first()
             rows = rows.withColumn("all", F.lit(total[0])).withColumn("spare", F.lit(total[1]))
         got = rows.select(*[f"g{i}" for i in range(1, n + 1)], (F.col("left") / F.col("all")).alias("p"), (F.col("spare") / F.col("all")).alias("back")).toPandas()
         at = np.zeros(len(got), np.int64)
@@ -150,17 +158,29 @@ def with_perplexity(docs: DataFrame, model: Model, out: str) -> DataFrame:
 
 
 def thresholds(scored: DataFrame, quantile: float, margin: float) -> tuple[dict[str, float], float | None]:
-    """Per language, and over all; languages with fewer than 20 trusted documents use the latter."""
-    q = F.percentile_approx("_ppl", quantile, 10_000)
-    whole = scored.agg(q.alias("q")).first()[0]
-    each = scored.filter("lang is not null").groupBy("lang").agg(q.alias("q"), F.count("_ppl").alias("n")).filter("n >= 20").orderBy(F.desc("n"), "lang").limit(1000).collect()
-    return {r["lang"]: r["q"] * margin for r in each}, None if whole is None else whole * margin
+    """Per language, and over all; languages with fewer than 20 trusted documents use the latter.
+
+    Quantiles are upper edges of the bins, STEPS to a unit of the logarithm, where counts of all documents reach
+    them: whole counts, so the order in which partial results merge changes nothing. A language has a bounded
+    number of bins.
+    """
+    level = F.floor(F.log("_ppl") * STEPS).cast("int")
+    bins = saved(scored.filter("_ppl is not null and not isnan(_ppl)").groupBy("lang", level.alias("bin")).agg(F.count(F.lit(1)).alias("n")), "bins")
+
+    def quantiles(counts: DataFrame, *by: str) -> DataFrame:
+        of = Window.partitionBy(*by)
+        below = counts.withColumn("below", F.sum("n").over(of.orderBy("bin"))).withColumn("all", F.sum("n").over(of))
+        return below.filter(F.col("below") >= quantile * F.col("all")).groupBy(*by).agg(F.exp((F.min("bin") + 1) / F.lit(float(STEPS))).alias("q"), F.first("all").alias("n"))
+
+    whole = quantiles(bins.groupBy("bin").agg(F.sum("n").alias("n"))).first()
+    each = quantiles(bins.filter("lang is not null"), "lang").filter("n >= 20").orderBy(F.desc("n"), "lang").limit(1000).collect()
+    return {r["lang"]: r["q"] * margin for r in each}, None if whole is None or whole["q"] is None else whole["q"] * margin
 
 
 def judged(docs: DataFrame, labels: DataFrame, order: int = 3, alphabet: int = 64, quantile: float = 0.99, margin: float = 1.1) -> DataFrame:
     """docs with _ppl, _limit and _kept."""
     small_batches(docs.sparkSession)
-    trusted = saved(trusted_documents(docs.select("doc_id", "text", "lang"), labels), "trusted")
+    trusted = trusted_documents(docs.select("doc_id", "text", "lang"), labels)
     model = train(trusted, order, alphabet)
     if model is None:
         return docs.withColumns({"_ppl": F.lit(None).cast("double"), "_limit": F.lit(None).cast("double"), "_kept": F.lit(True)})
