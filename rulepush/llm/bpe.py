@@ -26,7 +26,7 @@ import regex
 from pyspark.sql import DataFrame
 
 from .common import small_batches
-from .tokenization import load, row_slices
+from .tokenization import byte_letters, load, row_slices
 
 _LOADED: dict = {}
 #: Stands for the end-of-word mark inside the automaton.
@@ -36,13 +36,6 @@ WORD_PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 PLAIN = re.compile("[\t\n\r\x20-\x7e\u00a1-\u024f\u0400-\u045f\u2010-\u2027\u20ac]*")
 
 
-def byte_letters() -> list[str]:
-    """The printable letter that stands for each byte: printable Latin-1 bytes stand for themselves, the rest follow from 256 on."""
-    own = {*range(33, 127), *range(161, 173), *range(174, 256)}
-    spare = iter(range(256, 512))
-    return [chr(b) if b in own else chr(next(spare)) for b in range(256)]
-
-
 class WordBpe:
     """Exact encoder of single pre-tokens, and of texts through a bounded cache of pre-tokens."""
 

@@ -8,11 +8,11 @@ from __future__ import annotations
 
 import os
 import re
+import unicodedata
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-import regex
 
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
@@ -107,12 +107,36 @@ def count_tokens(docs: DataFrame, tokenizer: str, limit: int = 1024, batch_chars
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n_bytes long, n_tokens long, over_limit boolean")
 
 
-#: The byte-level pre-tokenizer's pattern (fixed value of the public format).
+#: The byte-level pre-tokenizer's pattern (fixed value of the public format); plain_splits spells it out.
 BYTE_LEVEL = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 #: Characters whose Unicode classes all versions of the pattern engines agree on; other texts go to the library whole.
 PLAIN = re.compile("[\t\n\r\x20-\x7e\u00a1-\u024f\u0400-\u045f\u2010-\u2027\u20ac]*")
 
 
+
+
+def byte_letters() -> list[str]:
+    """The printable letter that stands for each byte: printable Latin-1 bytes stand for themselves, the rest follow from 256 on."""
+    own = {*range(33, 127), *range(161, 173), *range(174, 256)}
+    spare = iter(range(256, 512))
+    return [chr(b) if b in own else chr(next(spare)) for b in range(256)]
+
+
+def plain_splits() -> tuple:
+    """Splitters for texts that are ASCII and for other PLAIN ones, the pattern above with its classes spelled out.
+
+    Letters come first, as most pre-tokens are words: the alternatives start with different characters.
+    """
+    every = [chr(c) for c in range(0x2100) if PLAIN.fullmatch(chr(c))]
+    letters, digits = ("".join(c for c in every if unicodedata.category(c)[0] == k) for k in "LN")
+
+    def of(a: str, n: str):
+        rest = rf"\t\n\r {a}{n}"
+        return re.compile(rf" ?[{a}]+|'(?:[stmd]|re|ve|ll)| ?[{n}]+| ?[^{rest}]+|[\t\n\r ]+(?![^\t\n\r ])|[\t\n\r ]+").findall
+
+    return of("A-Za-z", "0-9"), of(letters, digits)
+
+
 class CachedEncoder:
     """Exact ids as little-endian bytes, with the library called once for each distinct pre-token."""
 
@@ -121,16 +145,48 @@ class CachedEncoder:
         self.special = [str(t) for t in (a.content for a in self.tok.get_added_tokens_decoder().values())]
         self.wide = self.tok.get_vocab_size() > 1 << 16
         self.dtype = np.dtype("<u4" if self.wide else "<u2")
-        self.keep, self.known = keep, {}
-        self.split = regex.compile(BYTE_LEVEL).findall
+        self.keep, self.known, self.old = keep, {}, {}
+        self.split_ascii, self.split = plain_splits()
+        # the same merges behind a plain split at blanks: words come already cut and in byte letters
+        from tokenizers import Tokenizer, pre_tokenizers
+
+        self.merges = Tokenizer(self.tok.model)
+        self.merges.pre_tokenizer = pre_tokenizers.WhitespaceSplit()
+        self.letters = dict(enumerate(byte_letters()))
+        vocab = self.tok.get_vocab()
+        self.leads = np.zeros(max(vocab.values()) + 1, bool)  # tokens that start with a blank
+        self.leads[[i for t, i in vocab.items() if t.startswith(self.letters[32])]] = True
+        self.letters[32] = " " + self.letters[32]
 
     def _learn(self, pieces: set[str]) -> None:
-        """All these pieces; the cache is emptied before it outgrows its bound, never between learning and use."""
-        if len(self.known) > self.keep:
-            self.known.clear()
-        new = [p for p in pieces if p not in self.known]
-        for at in range(0, len(new), 4096):
-            part = new[at : at + 4096]
+        """All these pieces. Two generations of the cache hold keep pieces: those of the older that are met again stay."""
+        if len(self.known) > self.keep // 2:
+            self.old, self.known = self.known, {}
+        new: list[list[str]] = [[], []]
+        alone = []
+        for p in pieces.difference(self.known):
+            if p in self.old:
+                self.known[p] = self.old[p]
+            elif p[0] == " " and p.count(" ") == 1 and len(p) > 1 and p[1] not in "\t\n\r":
+                new[p.isascii()].append(p)  # in a row, such pieces split again at their blanks
+            else:
+                alone.append(p)
+        size = self.dtype.itemsize
+        for ascii_only, pieces_of in enumerate(new):
+            for at in range(0, len(pieces_of), 2048):
+                part = pieces_of[at : at + 2048]
+                joined = "".join(part)
+                joined = joined.replace(" ", self.letters[32]) if ascii_only else joined.encode().decode("latin-1").translate(self.letters)
+                enc = self.merges.encode_batch_fast([joined], add_special_tokens=False)[0]
+                ids = np.array(enc.ids, self.dtype)
+                starts = np.nonzero(self.leads[ids])[0]
+                if len(starts) != len(part):
+                    raise ValueError("a blank inside a pre-token, or none before it")
+                raw = ids.tobytes()
+                edges = [*(starts * size).tolist(), len(raw)]
+                self.known.update(zip(part, [raw[x:y] for x, y in zip(edges, edges[1:])]))
+        for at in range(0, len(alone), 4096):
+            part = alone[at : at + 4096]
             for piece, enc in zip(part, self.tok.encode_batch_fast(part, add_special_tokens=False)):
                 self.known[piece] = np.array(enc.ids, self.dtype).tobytes()
 
@@ -146,7 +202,7 @@ class CachedEncoder:
                         for e in self.tok.encode_batch_fast([x for _, x in p], add_special_tokens=False)
                     )
                 else:
-                    split[i] = self.split(t)
+                    split[i] = self.split_ascii(t) if t.isascii() else self.split(t)
             self._learn(set().union(*split.values()))
             get = self.known.__getitem__
             for i, pieces in split.items():
