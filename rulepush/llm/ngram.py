@@ -1,11 +1,15 @@
 """Operator 5: quality classifier by an interpolated modified Kneser-Ney model of characters.
 
-The model is trained on all trusted documents (labelled quality 1 and not toxic). Every task counts the n-grams of
-its documents; counts meet in a sharded sum by n-gram, so what is gathered grows with the trusted text. Count tables of the
-orders then join into discounted probabilities. Characters are coded into a fixed alphabet, so a model has at most
-alphabet ** order entries whatever the corpus: that bound is what lets it be broadcast. A document's perplexity
-comes from all its characters; it is kept if that is at most the quantile, over the trusted documents of its
-language, times a margin.
+The model is trained on all trusted documents (labelled quality 1 and not toxic), over every character they hold:
+digits count as one and white space as one, nothing else is folded. Every task counts the n-grams of its documents;
+counts meet in a sharded sum by n-gram, so the tables grow with the trusted text and stay tables: no task and no
+driver holds them. Count tables of the orders join into discounted probabilities. A character the trusted texts
+never hold has the probability an unseen one is left.
+
+Documents are scored by a join. The distinct n-grams of all documents meet the tables once, order by order. Texts
+are dealt into blocks of a few MB; a block asks for its distinct n-grams and gets their probabilities back. A
+document's perplexity comes from all its characters; it is kept if that is at most the quantile, over the trusted
+documents of its language, times a margin.
 
 Null and empty texts have no character and perplexity null; they are kept here. A null language, or one without
 trusted documents, uses the threshold over all. Without trusted documents everything is kept. Repeated rows are
@@ -16,26 +20,27 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-import pandas as pd
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import saved, small_batches, table
+from .common import release_memory, saved, shuffle_partitions, small_batches, table
 
-#: Code 0 pads the start of a text, 1 stands for every character outside the alphabet.
-PAD, OTHER = 0, 1
+#: Stands before a text; white space is folded, so no text holds it.
+PAD = 0
 #: Bins of a perplexity's logarithm, to a unit.
 STEPS = 2000
+#: Bytes of text whose n-grams are made distinct at once.
+BLOCK = 4 << 20
 
 
-def trusted_documents(docs: DataFrame, labels: DataFrame, broadcast_ids: int = 1_000_000) -> DataFrame:
-    """Up to broadcast_ids trusted ids go to the texts, which stay where they are; beyond it the texts are shuffled once and kept."""
+def trusted_documents(docs: DataFrame, labels: DataFrame, broadcast_ids: int = 1_000_000) -> tuple[DataFrame, DataFrame]:
+    """Trusted documents, and their ids. Up to broadcast_ids trusted ids go to the texts, which stay where they are; beyond it the texts are shuffled once and kept."""
     good = labels.groupBy("doc_id").agg(F.min("quality").alias("q"), F.max("toxic").alias("t")).filter("q = 1 and t = 0")
     good = saved(good.select("doc_id"), "trusted_ids")
     if good.count() <= broadcast_ids:
-        return docs.join(F.broadcast(good), "doc_id", "left_semi")
-    return saved(docs.join(good.hint("merge"), "doc_id", "left_semi"), "trusted")
+        return docs.join(F.broadcast(good), "doc_id", "left_semi"), good
+    return saved(docs.join(good.hint("merge"), "doc_id", "left_semi"), "trusted"), good
 
 
 def _codes(text: str) -> np.ndarray:
@@ -45,57 +50,54 @@ def _codes(text: str) -> np.ndarray:
     return np.where((c <= 32) | (c == 160), 32, c)
 
 
-def _grams(text: str, lookup: np.ndarray, order: int, alphabet: int) -> np.ndarray:
-    c = np.concatenate([np.full(order - 1, PAD), lookup[_codes(text)]]).astype(np.int64)
-    n = len(c) - order + 1
-    out = np.zeros(n, np.int64)
-    for i in range(order):
-        out = out * alphabet + c[i : i + n]
-    return out
-
-
-class Model:
-    """Dense log probabilities of an order, over a coded alphabet."""
-
-    def __init__(self, lookup: np.ndarray, log_p: np.ndarray, order: int, alphabet: int):
-        self.lookup, self.log_p, self.order, self.alphabet = lookup, log_p, order, alphabet
-
-    def perplexity(self, text: str | None) -> float | None:
-        if not text:
-            return None
-        return float(np.exp(-self.log_p[_grams(text, self.lookup, self.order, self.alphabet)].astype(np.float64).mean()))
+def grams_of(texts: list[str | None], order: int) -> tuple[list[str], np.ndarray, np.ndarray]:
+    """(distinct n-grams, the index of each character's among them, characters of each text).
 
+    The distinct n-grams' order depends on nothing but which there are.
+    """
+    pad = np.full(order - 1, PAD, np.uint32)
+    codes = [_codes(t) if t else pad[:0] for t in texts]
+    sizes = np.array([len(c) for c in codes], np.int64)
+    c = np.concatenate([x for t in codes for x in (pad, t)]).astype(np.uint32) if sizes.sum() else pad[:0]
+    if not len(c):
+        return [], np.zeros(0, np.int64), sizes
+    rank = np.zeros(int(c.max()) + 1, np.int64)
+    rank[c] = 1
+    local, letters = (np.cumsum(rank) - 1)[c], int(rank.sum())
+    ends = np.nonzero(c != PAD)[0]
+    key, size = local[ends], letters
+    for i in range(1, order):
+        if size > (1 << 62) // letters:
+            u, key = np.unique(key, return_inverse=True)
+            size = len(u)
+        key = local[ends - i] * size + key
+        size *= letters
+    _, first, at = np.unique(key, return_index=True, return_inverse=True)
+    chars = np.ascontiguousarray(c[ends[first][:, None] + np.arange(1 - order, 1)])
+    return chars.view(f"<U{order}")[:, 0].tolist(), at, sizes
+
+
+def gram_counts(docs: DataFrame, order: int) -> DataFrame:
+    """(g, c): counts of the highest order, summed over tasks."""
 
-def character_counts(docs: DataFrame) -> DataFrame:
     def run(batches):
-        held = np.zeros(0x110000, np.int64)
-        for b in batches:
-            for t in b.column(0).to_pylist():
-                if t:
-                    c = np.bincount(_codes(t))
-                    held[: len(c)] += c
-        at = np.nonzero(held)[0]
-        yield pa.RecordBatch.from_arrays([pa.array(at, pa.int64()), pa.array(held[at])], ["c", "n"])
+        def counted(texts):
+            grams, at, _ = grams_of(texts, order)
+            return pa.RecordBatch.from_arrays([pa.array(grams, pa.string()), pa.array(np.bincount(at, minlength=len(grams)), pa.int64())], ["g", "n"])
 
-    return docs.select("text").mapInArrow(run, "c long, n long").groupBy("c").agg(F.sum("n").alias("n"))
-
-
-def gram_counts(docs: DataFrame, lookup: np.ndarray, order: int, alphabet: int) -> DataFrame:
-    """(g1..gn, c): counts of the highest order, summed over tasks."""
-    size = alphabet**order
-
-    def run(batches):
-        held = np.zeros(size, np.int64)
+        held, size = [], 0
         for b in batches:
             for t in b.column(0).to_pylist():
                 if t:
-                    np.add.at(held, *np.unique(_grams(t, lookup, order, alphabet), return_counts=True))
-        at = np.nonzero(held)[0]
-        yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(held[at])], ["g", "n"])
+                    held.append(t)
+                    size += len(t)
+                if size >= BLOCK:
+                    yield counted(held)
+                    held, size = [], 0
+        yield counted(held)
+        release_memory()
 
-    summed = docs.select("text").mapInArrow(run, "g long, n long").groupBy("g").agg(F.sum("n").alias("c"))
-    digit = lambda i: F.pmod(F.floor(F.col("g") / alphabet ** (order - i)), F.lit(alphabet)).cast("int").alias(f"g{i}")
-    return summed.select(*[digit(i) for i in range(1, order + 1)], "c")
+    return docs.select("text").mapInArrow(run, "g string, n long").groupBy("g").agg(F.sum("n").alias("c"))
 
 
 def discounts(counts: DataFrame) -> list[float]:
@@ -108,57 +110,102 @@ def discounts(counts: DataFrame) -> list[float]:
     return [min(max(i - (i + 1) * y * n[i + 1] / n[i], 0.0), float(i)) for i in (1, 2, 3)]
 
 
-def train(trusted: DataFrame, order: int = 3, alphabet: int = 64) -> Model | None:
-    letters = [r[0] for r in character_counts(trusted).orderBy(F.desc("n"), "c").limit(alphabet - 2).collect()]
+def last(n: int) -> str:
+    return f"substring(g, -{n}, {n})"
+
+
+class Model:
+    """Tables of each order: (g, p), an n-gram's discounted share, and (context, back), what its context leaves to the order below."""
+
+    def __init__(self, order: int, alphabet: int, levels: dict[int, tuple[DataFrame, DataFrame]]):
+        self.order, self.alphabet, self.levels = order, alphabet, levels
+
+    def scores(self, asked: DataFrame) -> DataFrame:
+        """(g, log_p) of the distinct n-grams g of asked, joined to the tables order by order."""
+        need = {self.order: saved(asked.select("g").distinct(), "asked")}
+        for n in range(self.order - 1, 0, -1):
+            need[n] = need[n + 1].selectExpr(f"{last(n)} AS g").distinct()
+        below = None
+        for n in range(1, self.order + 1):
+            shares, backs = self.levels[n]
+            rows = need[n].join(shares, "g", "left")
+            if n == 1:
+                rows = rows.crossJoin(F.broadcast(backs)).withColumn("below", F.lit(1.0 / self.alphabet))
+            else:
+                rows = rows.withColumn("context", F.expr(f"substring(g, 1, {n - 1})")).join(backs, "context", "left")
+                rows = rows.withColumn("suffix", F.expr(last(n - 1))).join(below.select(F.col("g").alias("suffix"), F.col("p").alias("below")), "suffix")
+            below = saved(rows.select("g", (F.coalesce("p", F.lit(0.0)) + F.coalesce("back", F.lit(1.0)) * F.col("below")).alias("p")), f"level{n}")
+        return below.select("g", F.log(F.greatest("p", F.lit(1e-12))).alias("log_p"))
+
+    @property
+    def log_p(self) -> np.ndarray:
+        """For each context, of every character and an unseen one; for small models."""
+        letters = [r[0] for r in self.levels[1][0].select("g").collect()]
+        unseen = next(c for c in map(chr, range(33, 0x110000)) if c not in letters and c not in "123456789\xa0")
+        contexts = self.levels[self.order][1].select("context")
+        every = contexts.crossJoin(F.broadcast(contexts.sparkSession.createDataFrame([(x,) for x in [*letters, unseen]], "x string")))
+        return self.scores(every.select(F.concat("context", "x").alias("g"))).orderBy("g").select("log_p").toPandas()["log_p"].to_numpy()
+
+
+def train(trusted: DataFrame, order: int = 5) -> Model | None:
+    up = saved(gram_counts(trusted, order), "grams")
+    counts = {order: up}
+    for n in range(order - 1, 0, -1):  # below the top a gram counts by how many characters come before it
+        counts[n] = saved(counts[n + 1].groupBy(F.expr(last(n)).alias("g")).agg(F.count(F.lit(1)).alias("c")), "grams")
+    letters = counts[1].count()
     if not letters:
         return None
-    lookup = np.full(0x110000, OTHER, np.uint8)
-    for i, c in enumerate(sorted(letters)):
-        lookup[c] = i + 2
-    counts = saved(gram_counts(trusted, lookup, order, alphabet), "grams")
-    levels = {order: counts}
-    for n in range(order - 1, 0, -1):  # below the top a gram counts by how many characters come before it
-        up = levels[n + 1]
-        levels[n] = up.groupBy(*[F.col(f"g{i + 1}").alias(f"g{i}") for i in range(1, n + 1)]).agg(F.count(F.lit(1)).alias("c"))
-    lower = np.full(alphabet, 1.0 / alphabet)  # probability of the last character, by the characters before it
-    for n in range(1, order + 1):
-        d = discounts(levels[n])
+    levels = {}
+    for n, rows in counts.items():
+        d = discounts(rows)
         cut = F.element_at(F.array(*map(F.lit, d)), F.least(F.col("c"), F.lit(3)).cast("int"))
-        rows = levels[n].withColumn("left", F.greatest(F.col("c") - cut, F.lit(0.0)))
+        rows = rows.withColumn("context", F.expr(f"substring(g, 1, {n - 1})"))
         # the mass cut off, from whole counts: sums of fractions would depend on their order
-        spare = sum(F.count(F.when(F.least("c", F.lit(3)) == i + 1, 1)) * x for i, x in enumerate(d)).alias("spare")
-        context = [f"g{i}" for i in range(1, n)]
-        if context:
-            sums = rows.groupBy(*context).agg(F.sum("c").alias("all"), spare)
-            rows = rows.join(sums, context)
-        else:
-            total = rows.agg(F.sum("c"), spare).first()
-            rows = rows.withColumn("all", F.lit(total[0])).withColumn("spare", F.lit(total[1]))
-        got = rows.select(*[f"g{i}" for i in range(1, n + 1)], (F.col("left") / F.col("all")).alias("p"), (F.col("spare") / F.col("all")).alias("back")).toPandas()
-        at = np.zeros(len(got), np.int64)
-        for i in range(1, n + 1):
-            at = at * alphabet + got[f"g{i}"].to_numpy(np.int64)
-        back = np.ones(alphabet ** (n - 1))
-        back[at // alphabet] = got["back"].to_numpy()
-        p = np.tile(lower.reshape(-1), alphabet if n > 1 else 1) * np.repeat(back, alphabet)
-        p[at] += got["p"].to_numpy()
-        lower = p
-    return Model(lookup, np.log(np.maximum(lower, 1e-12)).astype(np.float32), order, alphabet)
-
-
-def with_perplexity(docs: DataFrame, model: Model, out: str) -> DataFrame:
-    held = docs.sparkSession.sparkContext.broadcast(model)
-
-    @F.pandas_udf("double")
-    def score(text: pd.Series) -> pd.Series:
-        m = held.value
-        return pd.Series([m.perplexity(t) for t in text], dtype="float64")
-
-    return docs.withColumn(out, score("text"))
-
-
-def thresholds(scored: DataFrame, quantile: float, margin: float) -> tuple[dict[str, float], float | None]:
-    """Per language, and over all; languages with fewer than 20 trusted documents use the latter.
+        spare = sum(F.count(F.when(F.least("c", F.lit(3)) == i + 1, 1)) * x for i, x in enumerate(d))
+        sums = saved(rows.groupBy("context").agg(F.sum("c").alias("all"), spare.alias("spare")), "contexts")
+        shares = rows.join(sums, "context").select("g", (F.greatest(F.col("c") - cut, F.lit(0.0)) / F.col("all")).alias("p"))
+        backs = sums.select("context", (F.col("spare") / F.col("all")).alias("back"))
+        levels[n] = (shares, backs if n > 1 else backs.select("back"))
+    return Model(order, letters + 1, levels)
+
+
+def distinct_grams(docs: DataFrame, order: int) -> DataFrame:
+    return gram_counts(docs, order).select("g")
+
+
+def with_perplexity(docs: DataFrame, model: Model, out: str, keep: list[str] | None = None) -> DataFrame:
+    """The columns keep of docs (all of them by default), and out."""
+    order, keep = model.order, keep or docs.columns
+    scores = model.scores(distinct_grams(docs, order))
+    total = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    blocks = max(shuffle_partitions(docs.sparkSession), -(-total // BLOCK))
+    dealt = docs.withColumn("_block", F.pmod(F.xxhash64("doc_id", "text"), F.lit(blocks)))
+
+    def ask(t: pa.Table) -> pa.Table:
+        grams, _, _ = grams_of(t.column("text").to_pylist(), order)
+        out = pa.table({"_block": pa.array(np.full(len(grams), t.column("_block")[0].as_py(), np.int64)), "i": pa.array(np.arange(len(grams), dtype=np.int32)), "g": pa.array(grams, pa.string())})
+        release_memory()
+        return out
+
+    def score(t: pa.Table, told: pa.Table) -> pa.Table:
+        grams, at, sizes = grams_of(t.column("text").to_pylist(), order)
+        log_p = np.full(len(grams), np.nan)
+        log_p[told.column("i").to_numpy()] = told.column("log_p").to_numpy()
+        ends = np.cumsum(sizes)
+        ppl = [float(np.exp(-log_p[at[e - n : e]].mean())) if n else None for e, n in zip(ends, sizes)]
+        scored = t.select(keep).append_column(out, pa.array(ppl, pa.float64()))
+        release_memory()
+        return scored
+
+    told = dealt.groupBy("_block").applyInArrow(ask, "_block long, i int, g string").join(scores, "g").select("_block", "i", "log_p")
+    schema = docs.select(*keep, F.lit(0.0).cast("double").alias(out)).schema
+    for f in schema:
+        f.nullable = True
+    return dealt.groupBy("_block").cogroup(told.groupBy("_block")).applyInArrow(score, schema)
+
+
+def thresholds(scored: DataFrame, quantile: float, margin: float) -> tuple[DataFrame, float | None]:
+    """(lang, _own) of each language, and the threshold over all; languages with fewer than 20 trusted documents use the latter.
 
     Quantiles are upper edges of the bins, STEPS to a unit of the logarithm, where counts of all documents reach
     them: whole counts, so the order in which partial results merge changes nothing. A language has a bounded
@@ -173,25 +220,24 @@ def thresholds(scored: DataFrame, quantile: float, margin: float) -> tuple[dict[
         return below.filter(F.col("below") >= quantile * F.col("all")).groupBy(*by).agg(F.exp((F.min("bin") + 1) / F.lit(float(STEPS))).alias("q"), F.first("all").alias("n"))
 
     whole = quantiles(bins.groupBy("bin").agg(F.sum("n").alias("n"))).first()
-    each = quantiles(bins.filter("lang is not null"), "lang").filter("n >= 20").orderBy(F.desc("n"), "lang").limit(1000).collect()
-    return {r["lang"]: r["q"] * margin for r in each}, None if whole is None or whole["q"] is None else whole["q"] * margin
+    each = quantiles(bins.filter("lang is not null"), "lang").filter("n >= 20")
+    return saved(each.select("lang", (F.col("q") * margin).alias("_own")), "limits"), None if whole is None or whole["q"] is None else whole["q"] * margin
 
 
-def judged(docs: DataFrame, labels: DataFrame, order: int = 3, alphabet: int = 64, quantile: float = 0.99, margin: float = 1.1) -> DataFrame:
-    """docs with _ppl, _limit and _kept."""
+def judged(docs: DataFrame, labels: DataFrame, order: int = 5, quantile: float = 0.99, margin: float = 1.1, keep: list[str] | None = None) -> DataFrame:
+    """The columns keep of docs (all of them by default) with _ppl, _limit and _kept."""
     small_batches(docs.sparkSession)
-    trusted = trusted_documents(docs.select("doc_id", "text", "lang"), labels)
-    model = train(trusted, order, alphabet)
+    keep = keep or docs.columns
+    trusted, ids = trusted_documents(docs.select("doc_id", "text", "lang"), labels)
+    model = train(trusted, order)
     if model is None:
-        return docs.withColumns({"_ppl": F.lit(None).cast("double"), "_limit": F.lit(None).cast("double"), "_kept": F.lit(True)})
-    by_lang, whole = thresholds(with_perplexity(trusted, model, "_ppl"), quantile, margin)
-    limit = F.lit(whole)
-    if by_lang:
-        limit = F.coalesce(F.try_element_at(F.create_map(*[x for k, v in by_lang.items() for x in (F.lit(k), F.lit(v))]), F.coalesce("lang", F.lit("\0"))), limit)
-    out = with_perplexity(docs, model, "_ppl").withColumn("_limit", limit)
+        return docs.select(*keep).withColumns({"_ppl": F.lit(None).cast("double"), "_limit": F.lit(None).cast("double"), "_kept": F.lit(True)})
+    scored = saved(with_perplexity(docs, model, "_ppl", keep), "scored")
+    by_lang, whole = thresholds(scored.select("doc_id", "lang", "_ppl").join(ids, "doc_id", "left_semi"), quantile, margin)
+    out = scored.join(by_lang, "lang", "left").select(*keep, "_ppl", F.coalesce("_own", F.lit(whole).cast("double")).alias("_limit"))
     return out.withColumn("_kept", F.coalesce(F.isnan("_ppl") | (F.col("_ppl") <= F.col("_limit")), F.lit(True)))
 
 
 def query(spark, sf_dir: str) -> DataFrame:
-    out = judged(table(spark, sf_dir, "documents").select("doc_id", "text", "lang"), table(spark, sf_dir, "labels"))
+    out = judged(table(spark, sf_dir, "documents").select("doc_id", "text", "lang"), table(spark, sf_dir, "labels"), keep=["doc_id", "lang"])
     return out.select("doc_id", "lang", F.col("_ppl").alias("perplexity"), F.col("_limit").alias("limit"), F.col("_kept").alias("kept"))
