@@ -54,13 +54,18 @@ def dedup(docs: DataFrame, separator: str = LINE, min_words: int = 5) -> DataFra
     return out.select("doc_id", F.when(F.size("_gone") == 0, F.col("text")).otherwise(kept).alias("text"), *rest, F.coalesce(F.size("_parts"), F.lit(0)).alias("n_units"), F.col("_gone").alias("removed"), F.when(F.size("_gone") > 0, ends).otherwise(F.array().cast("array<struct<start:int,end:int>>")).alias("removed_spans"))
 
 
-def query(spark, sf_dir: str) -> DataFrame:
+def query(spark, sf_dir: str, min_words: int = 5) -> DataFrame:
     """Per document: units, removed units, and size and digest of the text that stays (null: empty)."""
-    out = dedup(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    out = dedup(table(spark, sf_dir, "documents").select("doc_id", "text"), min_words=min_words)
     text = F.coalesce("text", F.lit(""))
     return out.select("doc_id", F.when(F.col("n_units") < 0, 0).otherwise(F.col("n_units")).cast("long").alias("n_lines"), F.size("removed").cast("long").alias("n_removed"), F.octet_length(text).cast("long").alias("kept_bytes"), F.md5(text).alias("kept_md5"))
 
 
+def every_line(spark, sf_dir: str) -> DataFrame:
+    """The same where every line that isn't blank takes part."""
+    return query(spark, sf_dir, min_words=1)
+
+
 ORACLE = r"""
 WITH parts AS (
   SELECT doc_id, string_split(text, chr(10)) AS p FROM documents WHERE text IS NOT NULL),
@@ -78,3 +83,20 @@ SELECT d.doc_id, coalesce(n_lines, 0)::BIGINT AS n_lines, coalesce(n_removed, 0)
   strlen(coalesce(t, ''))::BIGINT AS kept_bytes, md5(coalesce(t, '')) AS kept_md5
 FROM documents d LEFT JOIN kept k ON d.doc_id = k.doc_id
 """
+
+EVERY_LINE_ORACLE = r"""
+WITH parts AS (
+  SELECT doc_id, string_split(text, chr(10)) AS p FROM documents WHERE text IS NOT NULL),
+lines AS (
+  SELECT doc_id, unnest(p) AS line, generate_subscripts(p, 1) AS pos FROM parts),
+plain AS (
+  SELECT doc_id, pos, line, trim(regexp_replace(lower(line), '[ \t\n\x0B\f\r]+', ' ', 'g'), ' ') AS n FROM lines),
+ranked AS (
+  SELECT *, CASE WHEN n <> '' THEN row_number() OVER (PARTITION BY n ORDER BY doc_id, pos) ELSE 1 END AS r FROM plain),
+kept AS (
+  SELECT doc_id, count(*) AS n_lines, count(*) FILTER (WHERE r > 1) AS n_removed,
+    coalesce(string_agg(line, chr(10) ORDER BY pos) FILTER (WHERE r = 1), '') AS t FROM ranked GROUP BY doc_id)
+SELECT d.doc_id, coalesce(n_lines, 0)::BIGINT AS n_lines, coalesce(n_removed, 0)::BIGINT AS n_removed,
+  strlen(coalesce(t, ''))::BIGINT AS kept_bytes, md5(coalesce(t, '')) AS kept_md5
+FROM documents d LEFT JOIN kept k ON d.doc_id = k.doc_id
+"""

@@ -51,6 +51,7 @@ QUERIES = {
     "op7_exact_top_k": exact_top_k,
     "op8_near_duplicates": neardup.query,
     "op9_line_dedup": lines.query,
+    "op9_every_line_dedup": lines.every_line,
     "op10_repeated_strings": suffixes.query,
 }
-ORACLES = {"op7_exact_top_k": TOP_K_ORACLE, "op9_line_dedup": lines.ORACLE}
+ORACLES = {"op7_exact_top_k": TOP_K_ORACLE, "op9_line_dedup": lines.ORACLE, "op9_every_line_dedup": lines.EVERY_LINE_ORACLE}
