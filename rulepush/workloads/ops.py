@@ -85,6 +85,15 @@ def _(p):
     return left.join(q, "bin").filter("b >= a AND b <= a + 0.5D AND part <> near").select("part", "near")
 
 
+@op("op_range_whole", "SELECT p.p_partkey AS part, q.p_partkey AS near FROM part p JOIN part q ON q.p_retailprice BETWEEN p.p_retailprice AND p.p_retailprice + 0.5 AND p.p_partkey <> q.p_partkey", "part")
+def _(p):
+    """The range join over all parts: each left row meets the bins from its price to the end of its range."""
+    bin_of = lambda x: F.floor(x / 0.5)
+    q = p.select(F.col("p_partkey").alias("near"), F.col("p_retailprice").alias("b"), bin_of(F.col("p_retailprice")).alias("bin"))
+    left = p.select(F.col("p_partkey").alias("part"), F.col("p_retailprice").alias("a"), F.explode(F.sequence(bin_of(F.col("p_retailprice")), bin_of(F.col("p_retailprice") + 0.5))).alias("bin"))
+    return left.join(q, "bin").filter("b >= a AND b <= a + 0.5D AND part <> near").select("part", "near")
+
+
 @op("op_asof", "SELECT e.event_id, max(o.o_orderdate) AS last_order FROM events e LEFT JOIN orders o ON o.o_custkey = e.user_id AND o.o_orderdate <= e.ts GROUP BY e.event_id", "events", "orders")
 def _(e, o):
     """Last order of the user before each event: one union and one running maximum, no join."""
