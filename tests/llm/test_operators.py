@@ -169,10 +169,10 @@ def test_sampler_estimates_similarity():
 
 
 def test_lines(docs, empty):
-    out = {r["doc_id"]: r for r in lines.dedup(docs).collect()}
+    out = {r["doc_id"]: r for r in lines.dedup(docs, lines.LINE, 10).collect()}
     assert out[16]["text"] == "line one of five words\nshort\nshort" and out[17]["text"] == "other" and out[0]["text"] is None
     raw = TEXTS[16].encode()
-    assert [raw[s["start"] : s["end"]].decode() for s in out[16]["removed_spans"]] == ["line one of five words"]
+    assert [raw[s["start"] : s["end"]].decode() for s in out[16]["removed_spans"]] == ["line one of five words\n"]
     assert out[13]["text"] == "" and out[9]["text"] == PROSE[1]
     assert lines.dedup(empty).collect() == []
 
