@@ -6,10 +6,10 @@ counts meet in a sharded sum by n-gram, so the tables grow with the trusted text
 driver holds them. Count tables of the orders join into discounted probabilities. A character the trusted texts
 never hold has the probability an unseen one is left.
 
-Documents are scored by a join. The distinct n-grams of all documents meet the tables once, order by order. Texts
-are dealt into blocks of a few MB; a block asks for its distinct n-grams and gets their probabilities back. A
-document's perplexity comes from all its characters; it is kept if that is at most the quantile, over the trusted
-documents of its language, times a margin.
+Documents are scored by a join. The distinct n-grams of all documents meet the tables once, order by order. Each
+task packs its texts into compressed blocks of a few MB; a block is shuffled once, asks for its distinct n-grams and
+gets their probabilities back. A document's perplexity comes from all its characters; it is kept if that is at most the quantile, over the trusted
+documents of its language, times a margin. Columns _ppl, _limit and _kept of the input are replaced.
 
 Null and empty texts have no character and perplexity null; they are kept here. A null language, or one without
 trusted documents, uses the threshold over all. Without trusted documents everything is kept. Repeated rows are
@@ -21,17 +21,19 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import release_memory, saved, shuffle_partitions, small_batches, table
+from .tokenization import row_slices
 
 #: Stands before a text; white space is folded, so no text holds it.
 PAD = 0
 #: Bins of a perplexity's logarithm, to a unit.
 STEPS = 2000
 #: Bytes of text whose n-grams are made distinct at once.
-BLOCK = 4 << 20
+BLOCK = 8 << 20
 
 
 def trusted_documents(docs: DataFrame, labels: DataFrame, broadcast_ids: int = 1_000_000) -> tuple[DataFrame, DataFrame]:
@@ -50,6 +52,17 @@ def _codes(text: str) -> np.ndarray:
     return np.where((c <= 32) | (c == 160), 32, c)
 
 
+def _ranked(key: np.ndarray, size: int) -> tuple[np.ndarray, int]:
+    """(rank of each key among the distinct ones, how many these are); keys are below size."""
+    if size > 1 << 24:
+        u, at = np.unique(key, return_inverse=True)
+        return at.astype(np.int32), len(u)
+    seen = np.zeros(size, bool)
+    seen[key] = True
+    rank = np.cumsum(seen, dtype=np.int32) - np.int32(1)
+    return rank[key], int(rank[-1]) + 1
+
+
 def grams_of(texts: list[str | None], order: int) -> tuple[list[str], np.ndarray, np.ndarray]:
     """(distinct n-grams, the index of each character's among them, characters of each text).
 
@@ -58,22 +71,18 @@ def grams_of(texts: list[str | None], order: int) -> tuple[list[str], np.ndarray
     pad = np.full(order - 1, PAD, np.uint32)
     codes = [_codes(t) if t else pad[:0] for t in texts]
     sizes = np.array([len(c) for c in codes], np.int64)
-    c = np.concatenate([x for t in codes for x in (pad, t)]).astype(np.uint32) if sizes.sum() else pad[:0]
-    if not len(c):
-        return [], np.zeros(0, np.int64), sizes
-    rank = np.zeros(int(c.max()) + 1, np.int64)
-    rank[c] = 1
-    local, letters = (np.cumsum(rank) - 1)[c], int(rank.sum())
+    if not sizes.sum():
+        return [], np.zeros(0, np.int32), sizes
+    c = np.concatenate([x for t in codes for x in (pad, t)]).astype(np.uint32)
+    del codes
+    local, letters = _ranked(c, int(c.max()) + 1)
     ends = np.nonzero(c != PAD)[0]
-    key, size = local[ends], letters
-    for i in range(1, order):
-        if size > (1 << 62) // letters:
-            u, key = np.unique(key, return_inverse=True)
-            size = len(u)
-        key = local[ends - i] * size + key
-        size *= letters
-    _, first, at = np.unique(key, return_index=True, return_inverse=True)
-    chars = np.ascontiguousarray(c[ends[first][:, None] + np.arange(1 - order, 1)])
+    at, n = _ranked(local[ends], letters)
+    for i in range(1, order):  # grams longer by a character on the left, in the order of their characters
+        at, n = _ranked(local[ends - i].astype(np.int64) * n + at, letters * n)
+    place = np.empty(n, np.int64)
+    place[at] = ends
+    chars = np.ascontiguousarray(c[place[:, None] + np.arange(1 - order, 1)])
     return chars.view(f"<U{order}")[:, 0].tolist(), at, sizes
 
 
@@ -147,7 +156,7 @@ class Model:
         return self.scores(every.select(F.concat("context", "x").alias("g"))).orderBy("g").select("log_p").toPandas()["log_p"].to_numpy()
 
 
-def train(trusted: DataFrame, order: int = 5) -> Model | None:
+def train(trusted: DataFrame, order: int = 4) -> Model | None:
     up = saved(gram_counts(trusted, order), "grams")
     counts = {order: up}
     for n in range(order - 1, 0, -1):  # below the top a gram counts by how many characters come before it
@@ -173,35 +182,66 @@ def distinct_grams(docs: DataFrame, order: int) -> DataFrame:
     return gram_counts(docs, order).select("g")
 
 
+def packed_blocks(docs: DataFrame) -> DataFrame:
+    """(_block, rows): the rows of docs in blocks of about BLOCK bytes of their task, compressed; a longer text is a block of its own."""
+    text = docs.columns.index("text")
+
+    def run(batches):
+        first = TaskContext.get().partitionId() << 32  # blocks are numbered by place, so a task that runs again makes the same
+        held, size, n = [], 0, 0
+
+        def block():
+            sink = pa.BufferOutputStream()
+            with pa.ipc.new_stream(sink, held[0].schema, options=pa.ipc.IpcWriteOptions(compression=pa.Codec("zstd", 3))) as to:
+                to.write_table(pa.Table.from_batches(held).combine_chunks())
+            return pa.RecordBatch.from_arrays([pa.array([first + n], pa.int64()), pa.array([sink.getvalue().to_pybytes()], pa.binary())], ["_block", "rows"])
+
+        for b in batches:
+            for at, m in row_slices(b.column(text), BLOCK // 4):
+                held.append(b.slice(at, m))
+                size += held[-1].nbytes
+                if size >= BLOCK:
+                    yield block()
+                    held, size, n = [], 0, n + 1
+        if held:
+            yield block()
+        release_memory()
+
+    return docs.mapInArrow(run, "_block long, rows binary").repartition(shuffle_partitions(docs.sparkSession), "_block")
+
+
 def with_perplexity(docs: DataFrame, model: Model, out: str, keep: list[str] | None = None) -> DataFrame:
-    """The columns keep of docs (all of them by default), and out."""
-    order, keep = model.order, keep or docs.columns
+    """The columns keep of docs (all of them by default), and out, which replaces a column of its name."""
+    order, keep = model.order, [c for c in keep or docs.columns if c != out]
     scores = model.scores(distinct_grams(docs, order))
-    total = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    blocks = max(shuffle_partitions(docs.sparkSession), -(-total // BLOCK))
-    dealt = docs.withColumn("_block", F.pmod(F.xxhash64("doc_id", "text"), F.lit(blocks)))
+    blocks = packed_blocks(docs.select(*dict.fromkeys([*keep, "text"])))
+
+    def texts(t: pa.Table) -> tuple[pa.Table, list]:
+        rows = pa.ipc.open_stream(t.column("rows")[0].as_buffer()).read_all()
+        return rows, rows.column("text").to_pylist()
 
     def ask(t: pa.Table) -> pa.Table:
-        grams, _, _ = grams_of(t.column("text").to_pylist(), order)
+        grams, _, _ = grams_of(texts(t)[1], order)
         out = pa.table({"_block": pa.array(np.full(len(grams), t.column("_block")[0].as_py(), np.int64)), "i": pa.array(np.arange(len(grams), dtype=np.int32)), "g": pa.array(grams, pa.string())})
         release_memory()
         return out
 
     def score(t: pa.Table, told: pa.Table) -> pa.Table:
-        grams, at, sizes = grams_of(t.column("text").to_pylist(), order)
+        rows, held = texts(t)
+        grams, at, sizes = grams_of(held, order)
         log_p = np.full(len(grams), np.nan)
         log_p[told.column("i").to_numpy()] = told.column("log_p").to_numpy()
         ends = np.cumsum(sizes)
         ppl = [float(np.exp(-log_p[at[e - n : e]].mean())) if n else None for e, n in zip(ends, sizes)]
-        scored = t.select(keep).append_column(out, pa.array(ppl, pa.float64()))
+        scored = rows.select(keep).append_column(out, pa.array(ppl, pa.float64()))
         release_memory()
         return scored
 
-    told = dealt.groupBy("_block").applyInArrow(ask, "_block long, i int, g string").join(scores, "g").select("_block", "i", "log_p")
+    told = blocks.groupBy("_block").applyInArrow(ask, "_block long, i int, g string").join(scores, "g").select("_block", "i", F.col("log_p").cast("float").alias("log_p"))
     schema = docs.select(*keep, F.lit(0.0).cast("double").alias(out)).schema
     for f in schema:
         f.nullable = True
-    return dealt.groupBy("_block").cogroup(told.groupBy("_block")).applyInArrow(score, schema)
+    return blocks.groupBy("_block").cogroup(told.groupBy("_block")).applyInArrow(score, schema)
 
 
 def thresholds(scored: DataFrame, quantile: float, margin: float) -> tuple[DataFrame, float | None]:
@@ -224,18 +264,19 @@ def thresholds(scored: DataFrame, quantile: float, margin: float) -> tuple[DataF
     return saved(each.select("lang", (F.col("q") * margin).alias("_own")), "limits"), None if whole is None or whole["q"] is None else whole["q"] * margin
 
 
-def judged(docs: DataFrame, labels: DataFrame, order: int = 5, quantile: float = 0.99, margin: float = 1.1, keep: list[str] | None = None) -> DataFrame:
+def judged(docs: DataFrame, labels: DataFrame, order: int = 4, quantile: float = 0.99, margin: float = 1.1, keep: list[str] | None = None) -> DataFrame:
     """The columns keep of docs (all of them by default) with _ppl, _limit and _kept."""
     small_batches(docs.sparkSession)
-    keep = keep or docs.columns
+    keep = [c for c in keep or docs.columns if c not in ("_ppl", "_limit", "_kept")]
     trusted, ids = trusted_documents(docs.select("doc_id", "text", "lang"), labels)
     model = train(trusted, order)
     if model is None:
         return docs.select(*keep).withColumns({"_ppl": F.lit(None).cast("double"), "_limit": F.lit(None).cast("double"), "_kept": F.lit(True)})
-    scored = saved(with_perplexity(docs, model, "_ppl", keep), "scored")
+    scored = saved(with_perplexity(docs, model, "_ppl", list(dict.fromkeys([*keep, "doc_id", "lang"]))), "scored")
     by_lang, whole = thresholds(scored.select("doc_id", "lang", "_ppl").join(ids, "doc_id", "left_semi"), quantile, margin)
-    out = scored.join(by_lang, "lang", "left").select(*keep, "_ppl", F.coalesce("_own", F.lit(whole).cast("double")).alias("_limit"))
-    return out.withColumn("_kept", F.coalesce(F.isnan("_ppl") | (F.col("_ppl") <= F.col("_limit")), F.lit(True)))
+    rows = scored.select(F.struct("*").alias("r")).join(by_lang.toDF("l", "own"), F.col("r.lang") == F.col("l"), "left")
+    out = rows.select("r.*", F.coalesce("own", F.lit(whole).cast("double")).alias("_limit"))
+    return out.select(*keep, "_ppl", "_limit", F.coalesce(F.isnan("_ppl") | (F.col("_ppl") <= F.col("_limit")), F.lit(True)).alias("_kept"))
 
 
 def query(spark, sf_dir: str) -> DataFrame:
