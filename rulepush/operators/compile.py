@@ -33,8 +33,10 @@ def specialise(df: DataFrame, lit: Literal, names: dict[str, str]) -> DataFrame:
     return df.select(*[F.col(f"c{i}").alias(names[v]) for v, i in first.items()]) if first else df.select(F.lit(1).alias("c_"))
 
 
-def body_order(r: Rule, start: int | None = None) -> list[int]:
-    """Positions of the join literals: from start, always one that shares a variable with those before if there is one."""
+def body_order(r: Rule, start: int | None = None, strategy: str = "greedy") -> list[int]:
+    """Positions of the join literals: from start, always one that shares a variable with those before if there is one; textual: as written."""
+    if strategy == "textual":
+        return [i for i, x in enumerate(r.body) if x.pred not in COMPARISONS and not x.negated]
     left = [i for i, x in enumerate(r.body) if x.pred not in COMPARISONS and not x.negated]
     out, known = [], set()
     while left:
@@ -45,11 +47,11 @@ def body_order(r: Rule, start: int | None = None) -> list[int]:
     return out
 
 
-def rule_df(spark: SparkSession, r: Rule, relation: Callable[[int, Literal], DataFrame], start: int | None = None) -> DataFrame:
+def rule_df(spark: SparkSession, r: Rule, relation: Callable[[int, Literal], DataFrame], start: int | None = None, order: str = "greedy") -> DataFrame:
     """All derivations of r, one row each; relation gives the relation a body literal reads."""
     names = {v: f"v{i}" for i, v in enumerate(dict.fromkeys(v for x in (r.head, *r.body) for v in x.vars))}
     out, known = None, set()
-    for i in body_order(r, start):
+    for i in body_order(r, start, order):
         x = r.body[i]
         df = specialise(relation(i, x), x, names)
         shared = [names[v] for v in x.vars if v in known]

@@ -63,6 +63,28 @@ def mod_relation(spark: SparkSession, sf_dir: str, line: int | None, domain: int
     return li.select((F.col("l_orderkey") % domain).cast("long").alias("c0"), (F.col("l_partkey") % domain).cast("long").alias("c1")).dropDuplicates()
 
 
+#: Lines, domain and whether keys divided by 7 join in, of the five graph files; each has a cyclic and an acyclic form.
+GRAPH_FILES = [("l_linenumber = 1", 1000, False), ("l_linenumber <= 3", 1000, False), ("true", 1000, False), ("true", 2000, False), ("true", 2000, True)]
+
+
+def graph_file(spark: SparkSession, sf_dir: str, number: int) -> DataFrame:
+    """One of ten edge files: 2 i is the cyclic form of GRAPH_FILES[i], 2 i + 1 its acyclic twin, edges from smaller to larger."""
+    lines, domain, more = GRAPH_FILES[number // 2]
+    li = table(spark, sf_dir, "lineitem").filter(lines).select("l_orderkey", "l_partkey")
+    if more:
+        li = li.unionByName(li.select(*[F.floor(F.col(c) / 7).alias(c) for c in li.columns]))
+    g = li.select(*[(F.col(c) % domain).cast("long").alias(f"c{i}") for i, c in enumerate(li.columns)]).dropDuplicates()
+    if number % 2:
+        g = g.filter("c0 <> c1").select(F.least("c0", "c1").alias("c0"), F.greatest("c0", "c1").alias("c1")).dropDuplicates()
+    return g
+
+
+def column_pair(spark: SparkSession, sf_dir: str, a: str, b: str, domain: int) -> DataFrame:
+    """Distinct pairs of two columns of all lines, modulo domain."""
+    li = table(spark, sf_dir, "lineitem")
+    return li.select((F.col(a) % domain).cast("long").alias("c0"), (F.col(b) % domain).cast("long").alias("c1")).dropDuplicates()
+
+
 def graph(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     if name == "dense":
         return mod_relation(spark, sf_dir, None, 1000)

@@ -9,12 +9,14 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir, or a local folder of our own where it is unset (tests)."""
+    """spark.checkpoint.dir; where it is unset, a local folder of our own, on a local master only (tests)."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
         base = held.get() if held.isDefined() else None
     if not base:
+        if not spark.sparkContext.master.startswith("local["):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
         base = "file://" + tempfile.mkdtemp(prefix="rulepush-")
         spark.sparkContext.setCheckpointDir(base)
     return base
@@ -24,4 +26,24 @@ def spill(df: DataFrame, name: str) -> DataFrame:
     """df written once and read back: a snapshot that later inserts don't touch, with no lineage."""
     path = f"{shared_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._spilled_to = path
+    return out
+
+
+def discard(*dfs: DataFrame) -> None:
+    """Deletes the folders of spilled tables that nothing will read again; other frames are left alone."""
+    for df in dfs:
+        if path := getattr(df, "_spilled_to", None):
+            jvm, conf = df.sparkSession._jvm, df.sparkSession._jsc.hadoopConfiguration()
+            folder = jvm.org.apache.hadoop.fs.Path(path)
+            folder.getFileSystem(conf).delete(folder, True)
+
+
+def stored_bytes(df: DataFrame) -> int:
+    """Bytes on disk of a spilled table."""
+    if not (path := getattr(df, "_spilled_to", None)):
+        return 0
+    jvm, conf = df.sparkSession._jvm, df.sparkSession._jsc.hadoopConfiguration()
+    folder = jvm.org.apache.hadoop.fs.Path(path)
+    return int(folder.getFileSystem(conf).getContentSummary(folder).getLength())
