@@ -6,11 +6,12 @@ that the common text of a very large group of copies still outweighs its small d
 count sketch over all documents: its size is fixed, and its error is a fixed share of N at any scale, below FLOOR.
 
 Improved consistent weighted sampling draws, for each of bands * rows hashes, the shingle and level of least
-ln a; equal draws happen with the probability of weighted Jaccard similarity. Draws are banded. In each bucket all
-members are compared with one pivot, exactly; then pairs of members in different components that the pivot does not
-rule out, by the triangle inequality (1 - weighted Jaccard is a metric) or by the weights they share with it. So no pair of different components that shares a
-bucket and may reach the threshold stays unverified, and no bucket is expanded into all pairs of its copies.
-Components of verified links are the classes.
+ln a; equal draws happen with the probability of weighted Jaccard similarity. Draws are banded. A bucket's pivot is
+its least document. Every document is compared with its least pivot, exactly; then with the pivots that are still in
+another component; then members of one pivot, in different components, that the pivot does not rule out, by the
+triangle inequality (1 - weighted Jaccard is a metric) or by the weights they share with it. So no pair of different
+components that shares a bucket and may reach the threshold stays unverified, and no bucket is expanded into all pairs
+of its copies. Components of verified links are the classes.
 
 Null and empty texts, and texts without words, have no shingle: each such document is a class of its own. Texts of
 fewer than five words are one shingle. Rows that repeat a doc_id are one document, of their texts' least digest's class.
@@ -213,10 +214,9 @@ class Sampler:
         o_owner = np.repeat(np.arange(len(o_docs)), np.diff(np.append(o_heads, len(odd))))
         u_mixed, o_mixed, o_log = mixed[usual], mixed[odd], log_w[odd]
         place = np.arange(len(usual), dtype=np.int64)
-        if len(usual) >= 1 << 24:
-            raise ValueError("too many shingles at once")
+        room = 24 if len(usual) < 1 << 24 else 40  # bits of a key for the place; the rest below the rank break ties
         out = np.empty((docs, len(self.multiply)), _U)
-        low, ties = _U(64 - self.BITS), _U(0xFFFFFF << 24)
+        low, ties, at_place = _U(64 - self.BITS), _U((1 << 48) - (1 << room)), (1 << room) - 1
         x, entry, key = np.empty(len(usual), _U), np.empty(len(usual), _U), np.empty(len(usual), np.int64)
         for k, m in enumerate(self.multiply):
             best = np.full(docs, np.inf, np.float64)
@@ -229,7 +229,7 @@ class Sampler:
                 np.bitwise_and(x, ties, out=x)
                 np.bitwise_or(key, x.view(np.int64), out=key)
                 np.bitwise_or(key, place, out=key)
-                won = np.minimum.reduceat(key, u_heads) & 0xFFFFFF
+                won = np.minimum.reduceat(key, u_heads) & at_place
                 best[u_docs], level[u_docs] = self._ln_a(k, entry[won].view(np.int64), np.float32(np.log(USUAL / UNIT)))
                 pick[u_docs] = usual[won]
             if len(odd):
@@ -246,13 +246,20 @@ class Sampler:
         return mix64(out)
 
 
-def similarity(ha, wa, hb, wb) -> float:
-    """Weighted Jaccard of two sparse whole-weight vectors with ascending hashes."""
+def shared_weight(ha, wa, hb, wb) -> int:
+    """What two sparse whole-weight vectors with ascending hashes have in common."""
     if not len(ha) or not len(hb):
-        return float(len(ha) == len(hb))
+        return 0
     at = np.minimum(np.searchsorted(hb, ha), len(hb) - 1)
     both = hb[at] == ha
-    low = int(np.minimum(wa[both], wb[at[both]]).sum())
+    return int(np.minimum(wa[both], wb[at[both]]).sum())
+
+
+def similarity(ha, wa, hb, wb) -> float:
+    """Weighted Jaccard of two such vectors."""
+    if not len(ha) or not len(hb):
+        return float(len(ha) == len(hb))
+    low = shared_weight(ha, wa, hb, wb)
     return low / (int(wa.sum() + wb.sum()) - low)
 
 
@@ -315,38 +322,60 @@ def unpack(hashes: bytes, packed: bytes) -> tuple[np.ndarray, np.ndarray]:
 
 
 def verified(pairs: DataFrame, vectors: DataFrame) -> DataFrame:
-    """pairs(a, b) with their similarity."""
+    """pairs(a, b) with their similarity, and the weight they share."""
 
-    @F.pandas_udf("double")
-    def similar(ha: pd.Series, wa: pd.Series, hb: pd.Series, wb: pd.Series) -> pd.Series:
-        return pd.Series([similarity(*unpack(a, x), *unpack(b, y)) for a, x, b, y in zip(ha, wa, hb, wb)], dtype="float64")
+    @F.pandas_udf("long")
+    def common(ha: pd.Series, wa: pd.Series, hb: pd.Series, wb: pd.Series) -> pd.Series:
+        return pd.Series([shared_weight(*unpack(a, x), *unpack(b, y)) for a, x, b, y in zip(ha, wa, hb, wb)], dtype="int64")
 
-    left = vectors.select(F.col("doc_id").alias("a"), F.col("hashes").alias("_ha"), F.col("weights").alias("_wa"))
-    right = vectors.select(F.col("doc_id").alias("b"), F.col("hashes").alias("_hb"), F.col("weights").alias("_wb"))
-    both = pairs.join(right, "b").join(left, "a")
-    return both.select("a", "b", similar("_ha", "_wa", "_hb", "_wb").alias("similarity"))
+    side = lambda x: vectors.select(F.col("doc_id").alias(x), F.col("hashes").alias(f"h{x}"), F.col("weights").alias(f"w{x}"), F.col("total").alias(f"t{x}"))
+    both = pairs.join(side("b"), "b").join(side("a"), "a")
+    both = both.select("a", "b", "ta", "tb", common("ha", "wa", "hb", "wb").alias("common"))
+    return both.withColumn("similarity", F.col("common") / (F.col("ta") + F.col("tb") - F.col("common")))
 
 
-def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
+def components(links: DataFrame) -> DataFrame:
     """(id, root): least id of each node's component, by alternating large-star and small-star steps.
 
-    Every step is one grouped minimum and a join on the larger side's key; edges never exceed the links.
+    Every step is one grouped minimum and a join on the larger side's key; edges never exceed the links. A chain of n
+    links takes about log n steps.
     """
+    spark = links.sparkSession
     edges = saved(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).filter("u <> v").distinct(), "edges")
     last = None
-    for _ in range(most_rounds):
+    while True:
         both = edges.union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
         large = both.filter("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
         large = large.filter("u <> v").distinct()
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(least, "u").select(F.explode(F.array(F.struct(F.col("v").alias("u"), F.col("m").alias("v")), F.struct(F.col("u").alias("u"), F.col("m").alias("v")))).alias("e")).select("e.u", "e.v")
-        edges = saved(small.filter("u <> v").distinct(), "edges")
+        old, edges = edges, saved(small.filter("u <> v").distinct(), "edges")
+        drop(spark, old)
         state = edges.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if state == last:
             return edges.select(F.col("u").alias("id"), F.col("v").alias("root"))
         last = state
-    raise RuntimeError("components did not settle")
+
+
+def rooted(rows: DataFrame, root: DataFrame, col: str) -> DataFrame:
+    """rows with the component of col's document as root_<col>; a document without links is its own."""
+    return rows.join(root.select(F.col("id").alias(col), F.col("root").alias("_r")), col, "left").withColumn(f"root_{col}", F.coalesce("_r", col)).drop("_r")
+
+
+def representatives(every: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """((doc_id, rep) of all documents, (doc_id, profile) of the least document of each profile).
+
+    A document that occurs with several texts counts by its least profile. A profile is met in as many lanes as its
+    documents fall into, so that copies by the million are no one task's.
+    """
+    lanes = max(16, shuffle_partitions(every.sparkSession))
+    lane = F.pmod(F.xxhash64("doc_id"), F.lit(lanes)).alias("lane")
+    ids = every.groupBy("doc_id").agg(F.min("profile").alias("profile"))
+    least = ids.groupBy("profile", lane).agg(F.min("doc_id").alias("least"))
+    reps = saved(least.groupBy("profile").agg(F.min("least").alias("rep"), F.collect_list("lane").alias("lanes")), "representatives")
+    dealt = reps.select("profile", "rep", F.explode("lanes").alias("lane"))
+    return ids.withColumn("lane", lane).join(dealt, ["profile", "lane"]).select("doc_id", "rep"), reps.select(F.col("rep").alias("doc_id"), "profile")
 
 
 def classes(docs: DataFrame, threshold: float = 0.8, bands: int = 32, rows: int = 8, width: int = 5) -> DataFrame:
@@ -354,66 +383,83 @@ def classes(docs: DataFrame, threshold: float = 0.8, bands: int = 32, rows: int
     small_batches(docs.sparkSession)
     sketch, n = frequency_sketch(docs, width)
     every = saved(profiles(docs, idf_levels(sketch, n), bands, rows, width), "profiles")
-    rep_of = every.groupBy("profile").agg(F.min("doc_id").alias("rep"))
-    reps = every.join(rep_of.select(F.col("rep").alias("doc_id"), F.col("profile").alias("_p")).filter("_p is not null"), "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    buckets = reps.select("doc_id", F.posexplode("bands").alias("band", "key")).select("doc_id", F.xxhash64("band", "key").alias("bucket"))
+    rep_of, reps = representatives(every)
+    buckets = every.select("doc_id", "profile", "bands").join(reps, ["doc_id", "profile"], "left_semi").dropDuplicates(["doc_id"])
+    buckets = buckets.select("doc_id", F.posexplode("bands").alias("band", "key")).select("doc_id", F.xxhash64("band", "key").alias("bucket"))
     pivots = buckets.groupBy("bucket").agg(F.min("doc_id").alias("pivot"), F.count(F.lit(1)).alias("n")).filter("n > 1").select("bucket", "pivot")
-    members = saved(buckets.join(pivots, "bucket"), "members")
-    vectors = every.select("doc_id", "total", "hashes", "weights").join(members.select("doc_id").distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    star = saved(buckets.join(pivots, "bucket").filter("doc_id <> pivot").select("pivot", "doc_id").distinct(), "star")
+    used = star.select("doc_id").union(star.select(F.col("pivot").alias("doc_id"))).distinct()
+    vectors = every.select("doc_id", "profile", "total", "hashes", "weights").join(reps.join(used, "doc_id"), ["doc_id", "profile"], "left_semi").dropDuplicates(["doc_id"]).drop("profile")
     vectors = saved(vectors, "vectors")
-    star = members.filter("doc_id <> pivot").select(F.col("pivot").alias("a"), F.col("doc_id").alias("b")).distinct()
-    first = saved(verified(star, vectors), "first")
-    links = first.filter(F.col("similarity") >= threshold)
+    # each document meets its least pivot; of the other pairs only those still in different components
+    nearest = star.groupBy("doc_id").agg(F.min("pivot").alias("pivot"))
+    known = saved(verified(nearest.select(F.col("pivot").alias("a"), F.col("doc_id").alias("b")), vectors), "verified")
+    links = known.filter(F.col("similarity") >= threshold).select("a", "b")
     root = components(links)
-    # what the pivots leave open: members of one bucket, in different components, near enough by what both share with the pivot
-    totals = vectors.select("doc_id", "total")
-    shared = first.join(totals.select(F.col("doc_id").alias("a"), F.col("total").alias("ta")), "a").join(totals.select(F.col("doc_id").alias("b"), F.col("total").alias("tb")), "b")
-    part = F.col("similarity") * (F.col("ta") + F.col("tb")) / (1 + F.col("similarity"))
-    shared = shared.select(F.col("a").alias("pivot"), F.col("b").alias("doc_id"), "similarity", F.col("tb").cast("double").alias("t"), part.alias("p"))
-    placed = members.filter("doc_id <> pivot").join(shared, ["pivot", "doc_id"]).join(root.withColumnRenamed("id", "doc_id"), "doc_id", "left")
-    placed = placed.join(root.select(F.col("id").alias("pivot"), F.col("root").alias("_pr")), "pivot", "left")
-    placed = placed.select("bucket", "doc_id", "similarity", "t", "p", F.coalesce("root", "doc_id").alias("root"), F.coalesce("_pr", "pivot").alias("pivot_root"))
-    split = placed.groupBy("bucket").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("n")).filter("lo <> hi").select("bucket", "n")
-    more = open_links(placed.join(split, "bucket"), vectors, threshold)
-    more = saved(more, "more")
-    if not more.isEmpty():
-        root = components(links.select("a", "b").union(more.select("a", "b")))
-    named = every.select("doc_id", "profile").join(rep_of, "profile").groupBy("doc_id").agg(F.min("rep").alias("rep"))
-    named = saved(named.join(root.withColumnRenamed("id", "rep"), "rep", "left").select(F.col("doc_id").alias("_id"), F.coalesce("root", "rep").alias("class_id")), "classes")
-    drop(docs.sparkSession, every, members, vectors, first)
+    apart = rooted(rooted(star.join(nearest, ["doc_id", "pivot"], "left_anti"), root, "doc_id"), root, "pivot").filter("root_doc_id <> root_pivot")
+    more = saved(verified(apart.select(F.col("pivot").alias("a"), F.col("doc_id").alias("b")), vectors), "verified")
+    found = more.filter(F.col("similarity") >= threshold).select("a", "b")
+    if not found.isEmpty():
+        links = links.union(found)
+        root = components(links)
+    last = saved(open_links(star, known.union(more), root, vectors, threshold), "links")
+    if not last.isEmpty():
+        root = components(links.union(last))
+    named = rep_of.join(root.withColumnRenamed("id", "rep"), "rep", "left").select(F.col("doc_id").alias("_id"), F.coalesce("root", "rep").alias("class_id"))
+    named = saved(named, "classes")
+    drop(docs.sparkSession, every, reps, star, vectors, known, more)
     return docs.select("doc_id").join(named, F.col("doc_id") == F.col("_id"), "left").select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"))
 
 
-def open_links(rest: DataFrame, vectors: DataFrame, threshold: float, block: int = 16) -> DataFrame:
-    """Verified links (a, b) between different components of a bucket that the bucket's pivot does not rule out.
+def open_links(star: DataFrame, known: DataFrame, root: DataFrame, vectors: DataFrame, threshold: float, block_bytes: int = 1 << 20) -> DataFrame:
+    """Links (a, b) between documents that met the same pivot, are in different components, and are not ruled out by it.
 
-    rest: (bucket, doc_id, similarity to the pivot, t: total, p: weight shared with the pivot, root, n: bucket's size).
-    Blocks of a bucket's members meet blocks; pairs are ruled out or compared inside, and only links come out.
+    Only pivots with an outlier, a member of another component than theirs, take part; all outliers were compared with
+    the pivot. The outliers meet the other outliers and those members of the pivot's component that are far enough
+    from it to be near one of them: 1 - similarity is a metric. Members travel once, in blocks of block_bytes; blocks
+    of outliers go to all blocks of their pivot.
     """
-    lanes = F.ceil(F.col("n") / block)
-    full = rest.withColumn("lane", F.pmod(F.xxhash64("doc_id"), lanes)).join(vectors.select("doc_id", "hashes", "weights"), "doc_id")
-    blocks = full.groupBy("bucket", "lane").agg(F.collect_list(F.struct("doc_id", "similarity", "t", "p", "root", "hashes", "weights")).alias("m"))
-    left = blocks.select("bucket", F.col("lane").alias("la"), F.col("m").alias("ma"))
-    right = blocks.select("bucket", F.col("lane").alias("lb"), F.col("m").alias("mb"))
+    spark = star.sparkSession
+    members = rooted(rooted(star, root, "doc_id"), root, "pivot").withColumn("out", F.col("root_doc_id") != F.col("root_pivot"))
+    met = known.select(F.col("a").alias("pivot"), F.col("b").alias("doc_id"), "similarity", "common", F.col("tb").alias("total"))
+    out = saved(members.filter("out").join(met, ["pivot", "doc_id"]).select("pivot", "doc_id", "root_doc_id", "similarity", "common", "total"), "outliers")
+    if out.isEmpty():
+        return spark.createDataFrame([], "a long, b long")
+    reach = out.groupBy("pivot").agg(F.max("similarity").alias("nearest"))
+    inside = members.filter("NOT out").select("pivot", "doc_id", "root_doc_id").join(reach, "pivot")
+    told = inside.join(met, ["pivot", "doc_id"], "left")
+    fresh = verified(told.filter("similarity IS NULL").select(F.col("pivot").alias("a"), F.col("doc_id").alias("b")), vectors)
+    fresh = fresh.select(F.col("a").alias("pivot"), F.col("b").alias("doc_id"), "similarity", "common", F.col("tb").alias("total"))
+    inside = told.filter("similarity IS NOT NULL").drop("nearest").unionByName(inside.join(fresh, ["pivot", "doc_id"]).drop("nearest"))
+    inside = inside.join(reach, "pivot").filter(F.col("similarity") <= F.col("nearest") + (1 - threshold) + 1e-9).drop("nearest")
+    both = out.withColumn("out", F.lit(True)).unionByName(inside.withColumn("out", F.lit(False)))
+    full = saved(both.join(vectors.select("doc_id", "hashes", "weights"), "doc_id"), "open")
+    size = F.sum(F.octet_length("hashes") + F.octet_length("weights"))
+    lanes = full.groupBy("pivot").agg(F.ceil(size / block_bytes).alias("lanes"), F.ceil(F.sum(F.when(F.col("out"), F.octet_length("hashes") + F.octet_length("weights"))) / block_bytes).alias("out_lanes"))
+    dealt = full.join(lanes, "pivot").withColumn("lane", F.pmod(F.xxhash64("doc_id"), F.col("lanes"))).withColumn("out_lane", F.pmod(F.xxhash64(F.lit(1), "doc_id"), F.col("out_lanes")))
+    row = F.struct("doc_id", F.col("root_doc_id").alias("root"), F.col("similarity").alias("s"), F.col("total").cast("double").alias("t"), F.col("common").cast("double").alias("p"), "hashes", "weights")
+    right = dealt.groupBy("pivot", "lane").agg(F.collect_list(row).alias("y"))
+    left = dealt.filter("out").groupBy("pivot", "out_lane").agg(F.first("lanes").alias("lanes"), F.collect_list(row).alias("x"))
+    left = left.select("pivot", "x", F.explode(F.sequence(F.lit(0).cast("long"), F.col("lanes") - 1)).alias("lane"))
 
     def run(batches):
         for batch in batches:
-            out = []
             for i in range(batch.num_rows):
                 x, y = (batch.column(c)[i].as_py() for c in range(2))
                 col = lambda rows, k: np.array([r[k] for r in rows])
-                s, t, p, root, ids = ([col(x, k)[:, None], col(y, k)[None, :]] for k in ("similarity", "t", "p", "root", "doc_id"))
+                s, t, p, roots, ids = ((col(x, k)[:, None], col(y, k)[None, :]) for k in ("s", "t", "p", "root", "doc_id"))
                 most = np.minimum(*p) + np.minimum(t[0] - p[0], t[1] - p[1])
-                near = (root[0] != root[1]) & (ids[0] != ids[1]) & (np.abs(s[0] - s[1]) <= 1 - threshold + 1e-9)
+                near = (roots[0] != roots[1]) & (ids[0] != ids[1]) & (np.abs(s[0] - s[1]) <= 1 - threshold + 1e-9)
                 near &= most * (1 + threshold) + 1e-6 >= threshold * (t[0] + t[1])
+                found = set()
                 for j, k in zip(*np.nonzero(near)):
                     a, b = x[j], y[k]
                     if similarity(*unpack(a["hashes"], a["weights"]), *unpack(b["hashes"], b["weights"])) >= threshold:
-                        out.append((min(a["doc_id"], b["doc_id"]), max(a["doc_id"], b["doc_id"])))
-            yield pa.RecordBatch.from_arrays([pa.array([o[0] for o in out], pa.int64()), pa.array([o[1] for o in out], pa.int64())], ["a", "b"])
+                        found.add((min(a["doc_id"], b["doc_id"]), max(a["doc_id"], b["doc_id"])))
+                yield pa.RecordBatch.from_arrays([pa.array([f[0] for f in found], pa.int64()), pa.array([f[1] for f in found], pa.int64())], ["a", "b"])
+        release_memory()
 
-    met = left.join(right, "bucket").filter("la <= lb").select("ma", "mb")
-    return met.mapInArrow(run, "a long, b long").distinct()
+    return left.join(right, ["pivot", "lane"]).select("x", "y").mapInArrow(run, "a long, b long").distinct()
 
 
 def one_of_each(docs: DataFrame, **options) -> DataFrame:
