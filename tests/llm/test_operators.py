@@ -1,6 +1,7 @@
 """Small tables with nulls, empty and long texts, repeated rows and clashing columns, against brute force."""
 
 import hashlib
+import math
 import random
 import zlib
 
@@ -147,7 +148,33 @@ def test_top_k(spark):
     good = [(i, f(e)) for i, e in v if e is not None and None not in e and np.isfinite(e).all()]
     want = {(q, k + 1, s[1], -s[0]) for q, e in good if q % 50 == 0 for k, s in enumerate(sorted((-int(e @ x), i) for i, x in good if i != q)[:10])}
     assert {tuple(r) for r in vafile.top_k(df, asked, block=64, query_block=3).collect()} == want
-    assert vafile.top_k(df.limit(0), asked).collect() == []
+    assert vafile.top_k(df.limit(0), asked).collect() == [] == vafile.top_k(df, asked.limit(0)).collect()
+
+
+def plain_top_k(v, is_query, k=10):
+    """(query_id, rank, vec_id, score) in whole numbers; shorter vectors end in zeros."""
+    good = [(i, [math.floor(x * 1024) for x in e]) for i, e in v if i is not None and e is not None and all(x is not None and math.isfinite(x) for x in e)]
+    score = lambda a, b: sum(x * y for x, y in zip(a, b))
+    return sorted((q, n + 1, i, -s) for q, e in good if is_query(q) for n, (s, i) in enumerate(sorted((-score(e, x), i) for i, x in good if i != q)[:k]))
+
+
+@pytest.mark.parametrize("size", [1.0, 1e6])
+def test_top_k_of_odd_vectors(spark, size):
+    r = random.Random(7)
+    v = [(i, [r.choice([0.0, 1.0, -1.0, r.uniform(-1, 1) * size]) for _ in range(r.choice([0, 1, 3, 5]))]) for i in range(120)]
+    v += [(200, [1.0, 0.0]), (201, [3e6, 0.0]), (202, [1.0, 1.0]), (None, [1.0]), (203, [float("inf")])]
+    v += [(i, v[40][1]) for i in (300, 310, 320, 330)] + [v[20]] * 4 + [(40, [2.0, 2.0])]  # common vectors, repeated rows, one id with two vectors
+    df = spark.createDataFrame(v, "vec_id long, embedding array<double>").repartition(3)
+    asked = df.filter("vec_id % 20 = 0").selectExpr("vec_id AS query_id", "embedding")
+    for options in ({}, {"block": 7, "query_block": 4, "bits": 2}):
+        got = sorted(tuple(x) for x in vafile.top_k(df, asked, **options).collect())
+        assert got == plain_top_k(v, lambda i: i % 20 == 0)
+
+
+def test_top_k_overflow(spark):
+    df = spark.createDataFrame([(0, [1e30]), (1, [1.0])], "vec_id long, embedding array<double>")
+    with pytest.raises(Exception, match="2\\*\\*62"):
+        vafile.top_k(df, df.selectExpr("vec_id AS query_id", "embedding")).collect()
 
 
 def test_near_duplicates(docs, empty):
