@@ -11,7 +11,7 @@ from __future__ import annotations
 
 import time
 from collections.abc import Iterator
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 from functools import reduce
 
 from pyspark.sql import DataFrame, Row, SparkSession
@@ -30,7 +30,7 @@ from .local import linear_plan, local_push
 @dataclass
 class Options:
     dedup: str = "all"  # all | recursive_only | result_only | none
-    dedup_kind: str = "hash"  # hash | words | nested
+    dedup_kind: str = "hash"  # hash | words | nested | auto: words where the stored pairs fill a small domain
     share: str = "auto"  # auto | persist | recompute
     max_rounds: int | None = None  # None: until the fixpoint
     partitions: int | str = "auto"  # of a hash store: auto | a number | doubling
@@ -72,8 +72,18 @@ class Driver:
         if o.load == "partitioned":
             for pred in sorted(self.program.edb):
                 self.relations[pred] = self.by_constant(pred)
+        if o.dedup_kind == "auto":
+            self.options = replace(o, dedup_kind="words" if self.small_domain() else "hash")
         self.stats = Stats()
 
+    def small_domain(self, most: int = 1 << 24) -> bool:
+        """Whether all stored pairs are of whole numbers whose ranges make at most `most` bits."""
+        pairs = [df for q, df in self.relations.items() if q in self.program.edb and len(df.columns) == 2]
+        if not pairs or any(t not in ("int", "bigint") for df in pairs for _, t in df.dtypes):
+            return False
+        wide = _union([df.agg(((F.max("c0") - F.min("c0") + 1) * (F.max("c1") - F.min("c1") + 1)).cast("double").alias("n")) for df in pairs])
+        return (wide.agg(F.max("n")).first()[0] or 0) <= most
+
     def by_constant(self, pred: str) -> DataFrame:
         """The relation's facts that literals ask for, written once, a folder for each value of the column where all have a constant."""
         asked = [x.args for r in self.program.rules for x in r.body if x.pred == pred]

@@ -144,7 +144,7 @@ def test_words_compose(spark):
     assert got.count() == len(rows(got))
 
 
-@pytest.mark.parametrize("options", [{"encode": True}, {"load": "partitioned"}, {"order": "textual"}, {"codegen": False}, {"fact_types": "specialised"}, {"fact_types": "mixed", "max_types": 1}, {"dedup_kind": "words"}, {"dedup_kind": "nested"}, {"dedup": "result_only"}])
+@pytest.mark.parametrize("options", [{"encode": True}, {"load": "partitioned"}, {"order": "textual"}, {"codegen": False}, {"fact_types": "specialised"}, {"fact_types": "mixed", "max_types": 1}, {"dedup_kind": "words"}, {"dedup_kind": "nested"}, {"dedup_kind": "auto"}, {"dedup": "result_only"}])
 def test_options_change_nothing(spark, options):
     r = random.Random(3)
     edb = {"ord": [(i, r.choice(["1-URGENT", "2-HIGH", "3-MEDIUM", "5-LOW"])) for i in range(20)], "line": [(r.randint(0, 19), r.randint(0, 15)) for _ in range(40)]}
@@ -246,6 +246,14 @@ def test_sources(spark, tmp_path):
     assert spark.read.format("rulepush_chains").options(length="3", chains="5").load().count() == 15
 
 
+def test_words_are_chosen_for_small_domains(spark):
+    p = parse_program(CHAIN + "?- top(X, Y).")
+    small = {f"k{i}": spark.createDataFrame([(1, 900), (900, 1)], "a long, b long") for i in range(1, 6)}
+    assert PushDriver(spark, p, small, Options(dedup_kind="auto")).options.dedup_kind == "words"
+    assert PushDriver(spark, p, small | {"k3": spark.createDataFrame([(1, 1 << 40), (7, 1)], "a long, b long")}, Options(dedup_kind="auto")).options.dedup_kind == "hash"
+    assert PushDriver(spark, p, small | {"k3": spark.createDataFrame([("a", "b")], "a string, b string")}, Options(dedup_kind="auto")).options.dedup_kind == "hash"
+
+
 def test_share_options(spark):
     p = parse_program("pair(A, B) :- s(K, A), s(K, B), A < B. s(K, P) :- line(K, P, X). ?- pair(A, B).")
     line = spark.createDataFrame([(1, 2, 0), (1, 3, 0), (2, 3, 1), (1, 3, 9)], "k long, p long, x long")
