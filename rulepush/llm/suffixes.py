@@ -6,15 +6,18 @@ same document. Strings never cross documents and are judged on the input.
 1. Runs. Every string of `length` bytes has one anchor: the leftmost least hash among its grams. Neighbouring
    strings with the same anchor form a run; a run is known by its anchor and by its whole context. Runs travel as
    packed columns, already rid of the copies inside their batch.
-2. Copies. Equal contexts meet; all but the earliest are removed whole. This settles copied documents and the inside
-   of long passages, at one record a run. A run whose anchor has other contexts too is left open.
-3. Open runs. Their texts go, batch by batch, into an enhanced suffix array (sorted suffixes, their common
-   prefixes). A stack scan builds the tree of common-prefix intervals; those of at least `length` whose occurrences
-   differ on the left are the maximal repeats, with all occurrences. All but the earliest of each are removed.
-4. Strings that stay in their batch meet by digest over all batches, and all but the earliest are removed.
-
-No group is ever gathered: a string or context as common as can be adds one packed entry per batch. Equality is by
-96-bit digests of differently based hashes outside the suffix arrays, exact inside.
+2. Equal contexts are gathered before any text travels: all but the earliest of them go. Of the others, those stay
+   open whose anchor stands beside the same bytes, on the longer side of the string, in another context: all
+   occurrences of a string share both, so they are the group in which the string can be found again.
+3. Groups. The open contexts travel as text, sorted by group; whole groups fill an enhanced suffix array (sorted
+   suffixes, their common prefixes). A stack scan builds the tree of common-prefix intervals; those of at least
+   `length` whose occurrences differ on the left are the maximal repeats, with all occurrences. All but the earliest of
+   each are removed. Bytes are compared, not digests.
+4. A group of more than HOT contexts, such as the edges of a passage that a third of all documents hold, would be one
+   task's. Its texts go through suffix arrays where they are, and the strings that stay in each meet by 96-bit digest.
+
+No group is gathered unless its size is bounded: a string or context as common as can be adds one packed entry per
+batch.
 
 Null texts are empty. Rows without a doc_id take no part and stay whole. Rows that repeat a doc_id are one
 document: equal starts are not earlier. An empty table gives an empty result.
@@ -37,6 +40,8 @@ from .common import release_memory, saved, small_batches, table
 from .tokenization import row_slices
 
 GRAM = 24
+#: Contexts that a group holds at most where its text travels to one task.
+HOT = 4096
 BUCKETS = 1024
 _BATCH = 4 << 20
 _PART = 1 << 20
@@ -204,11 +209,13 @@ def merged(doc, start, end) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return doc[at], start[at], reach[np.append(at[1:], len(doc)) - 1]
 
 
-SPANS = "doc_id long, start long, stop long, open boolean"
+#: key: null for what is settled, 0 for what is open in a hot group, else the group.
+SPANS = "doc_id long, start long, stop long, key long"
 
 
-def _spans(doc, start, end, is_open: bool) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(doc, pa.int64()), pa.array(start, pa.int64()), pa.array(end, pa.int64()), pa.array(np.full(len(doc), is_open))], ["doc_id", "start", "stop", "open"])
+def _spans(doc, start, end, key=None) -> pa.RecordBatch:
+    keys = pa.nulls(len(doc), pa.int64()) if key is None else pa.array(np.broadcast_to(key, len(doc)), pa.int64())
+    return pa.RecordBatch.from_arrays([pa.array(doc, pa.int64()), pa.array(start, pa.int64()), pa.array(end, pa.int64()), keys], ["doc_id", "start", "stop", "key"])
 
 
 def _settled(doc, start, end) -> pa.RecordBatch:
@@ -227,7 +234,7 @@ def _settled_rows(rows: pa.RecordBatch) -> pa.RecordBatch:
         # the three columns hold as many numbers each, and every number takes 4 or 8 bytes
         k = _count(doc, start, end)
         d.append(_wide(doc, k)), s.append(_wide(start, k)), e.append(_wide(end, k))
-    return _spans(*(np.concatenate(x) if x else np.zeros(0, np.int64) for x in (d, s, e)), False)
+    return _spans(*(np.concatenate(x) if x else np.zeros(0, np.int64) for x in (d, s, e)))
 
 
 def _count(*raw: bytes) -> int:
@@ -264,8 +271,8 @@ def _side(x: np.ndarray) -> np.ndarray:
     return x[:, 0] | x[:, 1] << _U(8) | x[:, 2] << _U(16)
 
 
-def copies(packed: DataFrame, length: int, partitions: int) -> DataFrame:
-    """Spans of runs that came earlier, and the open runs."""
+def copies(packed: DataFrame, length: int, partitions: int, hottest: int = HOT) -> DataFrame:
+    """Spans of runs that came earlier, and the open runs: of each, what its strings with the anchor right of the middle cover, and left of it."""
 
     def run(batches):
         rest = []
@@ -282,7 +289,7 @@ def copies(packed: DataFrame, length: int, partitions: int) -> DataFrame:
         n = small[:, 0].astype(np.int64)
         order, first, late = earliest(a, b, doc, start)
         gone = order[late]
-        yield _spans(*merged(doc[gone], start[gone], start[gone] + n[gone] + length - 1), False)
+        yield _spans(*merged(doc[gone], start[gone], start[gone] + n[gone] + length - 1))
         heads = order[first]
         key = a[heads]
         several = np.zeros(len(heads), bool)
@@ -295,14 +302,18 @@ def copies(packed: DataFrame, length: int, partitions: int) -> DataFrame:
         # an equal string shares the longer side of its rest: runs alone with theirs have none there
         place = small[o, 1].astype(np.int64)
         half = (length - GRAM) // 2
-        left, right = (np.unique(a[o] ^ mix64(_side(small[o, i : i + 3])), return_inverse=True, return_counts=True)[1:] for i in (2, 5))
-        left, right = left[1][left[0]] > 1, right[1][right[0]] > 1
         nearest = place - n[o] + 1  # places of the anchor in the run's strings: nearest to place
-        from_ = np.where(right, nearest, np.maximum(nearest, half))
-        to = np.where(left, place, np.minimum(place, half - 1))
-        keep = from_ <= to
-        o, anchor, from_, to = o[keep], (start[o] + place)[keep], from_[keep], to[keep]
-        yield _spans(*merged(doc[o], anchor - to, anchor - from_ + length), True)
+        anchor = start[o] + place
+        for i, from_, to in ((2, np.maximum(nearest, half), place), (5, nearest, np.minimum(place, half - 1))):
+            group = mix64(a[o] ^ mix64(_side(small[o, i : i + 3]) + _U(i << 32)))
+            size = np.unique(group, return_inverse=True, return_counts=True)
+            size = size[2][size[1]]
+            for keep, hot in (((size > 1) & (size <= hottest) & (from_ <= to), False), ((size > hottest) & (from_ <= to), True)):
+                where = doc[o][keep], (anchor - to)[keep], (anchor - from_ + length)[keep]
+                if hot:
+                    yield _spans(*merged(*where), 0)
+                else:
+                    yield _spans(*where, group[keep].view(np.int64) | 1)
         release_memory()
 
     return packed.repartition(partitions, "bucket").mapInArrow(run, SPANS)
@@ -432,8 +443,74 @@ def _join(texts: list[bytes]):
     return joined, owner, place, left
 
 
-def open_spans(docs: DataFrame, spans: DataFrame, length: int) -> DataFrame:
-    """Packed strings of the open spans that stay in their batch, and the spans settled in it."""
+def late_repeats(texts: list[bytes], doc: np.ndarray, start: np.ndarray, length: int):
+    """(joined text, owner and place of each of its symbols, whether a string of `length` there came earlier, removed spans) of texts[i], which begins at start[i] of doc[i]."""
+    joined, owner, place, left = _join(texts)
+    order, common = suffix_array(joined, max(length, *map(len, texts)), length)  # sorted to the end: else equal suffixes could lie apart
+    gone: list[list[int]] = [[], [], []]
+    late = np.zeros(len(joined), bool)
+    for size, at in maximal_repeats(order, common, left, length):
+        d, s = doc[owner[at]], start[owner[at]] + place[at]
+        head = np.lexsort((s, d))[0]
+        rest = (d != d[head]) | (s != s[head])
+        gone[0] += d[rest].tolist()
+        gone[1] += s[rest].tolist()
+        gone[2] += (s[rest] + size).tolist()
+        for p in at[rest].tolist():
+            late[p : p + size - length + 1] = True
+    return joined, owner, place, late, merged(*(np.array(x, np.int64) for x in gone))
+
+
+def with_text(docs: DataFrame, spans: DataFrame) -> DataFrame:
+    """(doc_id, text, spans) of documents with open spans."""
+    lists = spans.filter("key IS NOT NULL").groupBy("doc_id").agg(F.collect_list(F.struct("start", "stop", "key")).alias("spans"))
+    return docs.select("doc_id", "text").join(lists, "doc_id").select("doc_id", "text", "spans")
+
+
+def pieces(open_: DataFrame) -> DataFrame:
+    """(key, doc_id, start, bytes): the text of what is open in groups that one task can hold."""
+
+    def run(batches):
+        for batch in batches:
+            for lo, k in row_slices(batch.column(1)):
+                b = batch.slice(lo, k)
+                rows = [(s["key"], i, s["start"], t[s["start"] : s["stop"]]) for i, t, spans in zip(b.column(0).to_pylist(), b.column(1).cast(pa.binary()).to_pylist(), b.column(2).to_pylist()) for s in spans if s["key"]]
+                for at in range(0, len(rows), 20_000):
+                    cols = list(zip(*rows[at : at + 20_000]))
+                    yield pa.RecordBatch.from_arrays([*(pa.array(c, pa.int64()) for c in cols[:3]), pa.array(cols[3], pa.binary())], ["key", "doc_id", "start", "bytes"])
+        release_memory()
+
+    return open_.mapInArrow(run, "key long, doc_id long, start long, bytes binary")
+
+
+def repeats_in_groups(rows: DataFrame, length: int, partitions: int) -> DataFrame:
+    """Settled spans: whole groups of pieces, as many as fill a suffix array, are scanned for maximal repeats."""
+
+    def run(batches):
+        held: list[list] = [[], [], [], []]
+        size = 0
+
+        def scan():
+            *_, spans = late_repeats(held[3], np.array(held[1], np.int64), np.array(held[2], np.int64), length)
+            return _spans(*spans)
+
+        for b in batches:
+            for row in zip(*(b.column(i).to_pylist() for i in range(4))):
+                if size > _PART and row[0] != held[0][-1]:
+                    yield scan()
+                    held, size = [[], [], [], []], 0
+                for x, y in zip(held, row):
+                    x.append(y)
+                size += len(row[3])
+        if size:
+            yield scan()
+        release_memory()
+
+    return rows.repartition(partitions, "key").sortWithinPartitions("key").mapInArrow(run, SPANS)
+
+
+def open_strings(open_: DataFrame, length: int) -> DataFrame:
+    """Hot groups: packed strings of the open spans that stay in their batch, and the spans settled in it."""
 
     def settle(ids, texts, lists):
         parts, doc, base = [], [], []
@@ -442,22 +519,12 @@ def open_spans(docs: DataFrame, spans: DataFrame, length: int) -> DataFrame:
                 parts.append(t[start:stop])
                 doc.append(i)
                 base.append(start)
+        if not parts:
+            return
         doc, base = np.array(doc, np.int64), np.array(base, np.int64)
-        joined, owner, place, left = _join(parts)
-        order, common = suffix_array(joined, length, length)
-        gone: list[list[int]] = [[], [], []]
-        late = np.zeros(len(joined), bool)
-        for size, at in maximal_repeats(order, common, left, length):
-            d, s = doc[owner[at]], base[owner[at]] + place[at]
-            head = np.lexsort((s, d))[0]
-            rest = (d != d[head]) | (s != s[head])
-            gone[0] += d[rest].tolist()
-            gone[1] += s[rest].tolist()
-            gone[2] += (s[rest] + size).tolist()
-            for p in at[rest].tolist():
-                late[p : p + size - length + 1] = True
-        if gone[0]:
-            yield _settled(*merged(*(np.array(x, np.int64) for x in gone)))
+        joined, owner, place, late, gone = late_repeats(parts, doc, base, length)
+        if len(gone[0]):
+            yield _settled(*gone)
         data = joined.astype(np.uint8)
         sizes = np.array([len(p) for p in parts])
         p = np.nonzero(~late & (place + length <= sizes[owner]))[0]
@@ -467,26 +534,28 @@ def open_spans(docs: DataFrame, spans: DataFrame, length: int) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            ids, texts, lists = batch.column(0).to_pylist(), batch.column(1).cast(pa.binary()).to_pylist(), batch.column(2).to_pylist()
+            ids, texts = batch.column(0).to_pylist(), batch.column(1).cast(pa.binary()).to_pylist()
+            lists = [[s for s in spans if not s["key"]] for spans in batch.column(2).to_pylist()]
             lo, size = 0, 0
             for i, spans_ in enumerate(lists):
                 size += sum(s["stop"] - s["start"] for s in spans_)
-                if size > 1 << 20 or i == len(lists) - 1:
+                if size > _PART or i == len(lists) - 1:
                     yield from settle(ids[lo : i + 1], texts[lo : i + 1], lists[lo : i + 1])
                     lo, size = i + 1, 0
             release_memory()
 
-    lists = spans.filter("open").groupBy("doc_id").agg(F.collect_list(F.struct("start", "stop")).alias("spans"))
-    return docs.select("doc_id", "text").join(lists, "doc_id").select("doc_id", "text", "spans").mapInArrow(run, PACKED)
+    return open_.mapInArrow(run, PACKED)
 
 
-def removed(docs: DataFrame, length: int = 100) -> DataFrame:
+def removed(docs: DataFrame, length: int = 100, hottest: int = HOT) -> DataFrame:
     """(doc_id, spans): the spans of each document's bytes that go, in order, where there are any."""
     small_batches(docs.sparkSession)
     partitions = max(16, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    first = saved(copies(runs(docs, length), length, partitions), "spans")
-    second = copies(open_spans(docs, first, length), length, partitions)
-    every = first.filter("not open").unionByName(second.filter("not open"))
+    first = saved(copies(runs(docs, length), length, partitions, hottest), "spans")
+    every = first.filter("key IS NULL").unionByName(repeats_in_groups(pieces(with_text(docs, first)), length, partitions))
+    hot = first.filter("key = 0")
+    if not hot.isEmpty():
+        every = every.unionByName(copies(open_strings(with_text(docs, hot), length), length, partitions).filter("key IS NULL"))
     return every.groupBy("doc_id").agg(F.array_sort(F.collect_list(F.struct("start", "stop"))).alias("spans"))
 
 
@@ -500,10 +569,10 @@ def joined_spans(spans) -> list[tuple[int, int]]:
     return [(a, b) for a, b in out]
 
 
-def with_spans(docs: DataFrame, length: int) -> DataFrame:
+def with_spans(docs: DataFrame, length: int, hottest: int = HOT) -> DataFrame:
     """docs(doc_id, text) with spans. Rows with an id go the way open_spans deals them, so that one exchange serves both."""
     named = docs.filter("doc_id is not null")
-    got = removed(docs, length)
+    got = removed(docs, length, hottest)
     nameless = docs.filter("doc_id is null").withColumn("spans", F.lit(None).cast(got.schema["spans"].dataType))
     return named.join(got, "doc_id", "left").unionByName(nameless)
 
@@ -528,12 +597,13 @@ def dedup(docs: DataFrame, length: int = 100) -> DataFrame:
     def cut(text: pd.Series, spans: pd.Series) -> pd.Series:
         return pd.Series([whole_characters(t.encode(), joined_spans(s)) if t is not None and s is not None else t for t, s in zip(text, spans)], dtype=object)
 
-    got = removed(docs, length).select(F.col("doc_id").alias("_id"), F.col("spans").alias("_spans"))
-    both = docs.join(got, F.col("doc_id") == F.col("_id"), "left")
-    return both.select(*[F.when(F.col("_spans").isNull(), docs[c]).otherwise(cut(docs[c], F.col("_spans"))).alias(c) if c == "text" else docs[c] for c in docs.columns])
+    got = removed(docs.select("doc_id", "text"), length).toDF("i", "spans")
+    both = docs.select(F.struct("*").alias("d")).join(got, F.col("d.doc_id") == F.col("i"), "left")
+    text = F.when(F.col("spans").isNull(), F.col("d.text")).otherwise(cut(F.col("d.text"), F.col("spans")))
+    return both.select(*[text.alias(c) if c == "text" else F.col(f"d.`{c}`").alias(c) for c in docs.columns])
 
 
-def digests(docs: DataFrame, length: int = 100) -> DataFrame:
+def digests(docs: DataFrame, length: int = 100, hottest: int = HOT) -> DataFrame:
     """Operator 10's query: (doc_id, n_bytes, n_removed, n_spans, kept_sha256)."""
 
     def run(batches):
@@ -553,7 +623,7 @@ def digests(docs: DataFrame, length: int = 100) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, k), *(pa.array(c, pa.int64()) for c in cols[:3]), pa.array(cols[3])], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
 
     docs = docs.select("doc_id", "text")
-    return with_spans(docs, length).select("doc_id", "text", "spans").mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
+    return with_spans(docs, length, hottest).select("doc_id", "text", "spans").mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
 
 
 def query(spark, sf_dir: str) -> DataFrame:

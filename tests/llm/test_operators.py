@@ -218,6 +218,8 @@ def test_repeated_strings(spark, docs, empty):
             want[i] = (len(b), int(gone.sum()), int((np.diff(np.concatenate([[0], gone.astype(int)])) == 1).sum()), hashlib.sha256(keep).hexdigest())
         assert got(suffixes.digests(docs, length), "n_bytes", "n_removed", "n_spans", "kept_sha256") == want
     assert suffixes.digests(empty).collect() == []
+    clash = docs.selectExpr("doc_id", "text", "1 AS spans", "2 AS i", "3 AS _spans", "4 AS _id")
+    assert suffixes.dedup(clash).columns == clash.columns and suffixes.dedup(clash).count() == len(TEXTS)
     nameless = spark.createDataFrame([(None, "z" * 500), (1, "z" * 50)], "doc_id long, text string")
     assert {r["n_removed"] for r in suffixes.digests(nameless).collect()} == {0}
     assert suffixes.dedup(docs).columns == docs.columns
