@@ -13,12 +13,14 @@ WORD = r"[^\x20\x09-\x0D]+"
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: spark.checkpoint.dir, or a local one where unset (tests)."""
+    """The folder all executors share: spark.checkpoint.dir, or a local one where unset, on a local master only (tests)."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
         base = held.get() if held.isDefined() else None
     if not base:
+        if not spark.sparkContext.master.startswith("local["):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
         base = "file://" + tempfile.mkdtemp(prefix="rulepush-")
         spark.sparkContext.setCheckpointDir(base)
     return base if "://" in base or base.startswith("file:") else f"file://{base}" if base.startswith("/") else base

@@ -5,7 +5,11 @@ shards, by highest quotients w / (2 s + 1). Each shard lines up its documents in
 blocks and takes its quota: whole passes, then a seeded cyclic run of blocks. A hot source only has more shards.
 
 Null texts and texts without words have size 0 and nothing is taken from them. A null source is a source of its
-own, last in order. Repeated rows are documents of their own. An empty table gives an empty result.
+own, last in order. Repeated rows are documents of their own. An empty table gives an empty result. Other columns are
+ignored, or pass through unchanged.
+
+Sources are few: their totals, a row each, are ranked in one place. Of documents only sizes are lined up, and a shard
+holds the sizes of at least a most_shards-th of its source.
 """
 
 from __future__ import annotations
@@ -123,15 +127,15 @@ def mix(docs: DataFrame, **options) -> DataFrame:
 def mixed_documents(docs: DataFrame, **options) -> DataFrame:
     """The documents of the mix, whole: each as often as whole passes and its first word are taken; same columns.
 
-    Rows are told apart by doc_id and words: rows that share both share a decision.
+    Rows are told apart by doc_id, source and size: rows that share all three share a decision, the larger one.
     """
     size = word_count(F.col("text"))
-    sizes = saved(docs.select("doc_id", "source", size.alias("size")), "sizes")
-    got = plan(sizes, **options)
+    got = plan(saved(docs.select("doc_id", "source", size.alias("size")), "sizes"), **options)
     copies = F.col("passes") + F.col("first_taken").cast("long")
-    got = got.groupBy("doc_id").agg(F.max(F.when(F.col("size") > 0, copies).otherwise(0)).alias("_copies")).filter("_copies > 0")
-    kept = docs.join(got.withColumnRenamed("doc_id", "_id"), F.col("doc_id").eqNullSafe(F.col("_id")))
-    return kept.withColumn("_copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("_copies")))).select(*[kept[c] for c in docs.columns])
+    got = got.groupBy("doc_id", "source", "size").agg(F.max(F.when(F.col("size") > 0, copies).otherwise(0)).alias("copies")).filter("copies > 0").toDF("i", "s", "n", "copies")
+    rows = docs.select(F.struct("*").alias("d"), size.alias("size"))
+    kept = rows.join(got, F.col("d.doc_id").eqNullSafe(F.col("i")) & F.col("d.source").eqNullSafe(F.col("s")) & (F.col("size") == F.col("n")))
+    return kept.select("d", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies")))).select("d.*")
 
 
 def query(spark, sf_dir: str) -> DataFrame:

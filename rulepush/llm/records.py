@@ -8,7 +8,9 @@ A shard is a run of records in ascending doc_id order. A record frames one docum
     4 bytes   masked CRC-32C of the payload
 
 The index is a Parquet table beside the shards (shard, row, doc_id, offset, length, n_tokens) for shuffled reads.
-Shards are written under a name of the task's attempt and then renamed, so a task that runs twice leaves one file.
+Shards are written under a name of the task's attempt and then renamed: an attempt that breaks off leaves no shard.
+Readers open the shards that the index names, and the index holds those of committed tasks alone; the shard of an
+attempt that ended but wasn't committed may stay in the folder, unread.
 """
 
 from __future__ import annotations

@@ -178,7 +178,8 @@ def quality_rules(docs: DataFrame, labels: DataFrame, sample: int = 20_000) -> D
     stats = saved(statistics(docs), "statistics")
     clear = labels.filter("doc_id is not null and quality is not null").groupBy("doc_id").agg(F.min("quality").alias("lo"), F.max("quality").alias("hi")).filter("lo = hi")
     chosen = clear.orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample)
-    rows = stats.join(F.broadcast(chosen), "doc_id").orderBy("doc_id", *BASE, *MORE).limit(2 * sample).select("lo", *BASE, *MORE).toPandas().to_numpy(np.int64)
+    least = F.min(F.struct("lo", *BASE, *MORE)).alias("r")  # of texts that share an id, one
+    rows = stats.join(F.broadcast(chosen), "doc_id").groupBy("doc_id").agg(least).orderBy("doc_id").select("r.*").toPandas().to_numpy(np.int64)
     x = feature_matrix(rows[:, 1:])
     rules = learn(x, rows[:, 0] == 0)
     failed = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
