@@ -47,7 +47,7 @@ def evaluate_batched(spark: SparkSession, p: Program, edb: dict[str, DataFrame],
     for q in sorted(p.edb):
         one = tagged(q, edb[q])
         base = one if base is None else base.union(one)
-    base = spill(base.dropDuplicates(), "base")
+    base = spill(base.dropDuplicates().sortWithinPartitions("p"), "base")  # readers of a few predicates skip the rest
     derived = SetStore()
     known, delta, rounds, fired = base, base, 0, 0
     live = set(code[q] for q in p.edb)
@@ -64,7 +64,8 @@ def evaluate_batched(spark: SparkSession, p: Program, edb: dict[str, DataFrame],
                 got = F.broadcast(tables[skeleton])  # as many rows as rules
                 bound: set[int] = set()
                 for i in [j, *(k for k in range(1, len(skeleton)) if k != j)]:
-                    side = (delta if i == j else known).select(F.col("p").alias(f"r{i}"), *[F.col(f"a{k}").alias(f"x{v}" if skeleton[i].index(v) == k else f"same{i}_{k}") for k, v in enumerate(skeleton[i])])
+                    asked = sorted({row[i] for row in rows})
+                    side = (delta if i == j else known).filter(F.col("p").isin(asked)).select(F.col("p").alias(f"r{i}"), *[F.col(f"a{k}").alias(f"x{v}" if skeleton[i].index(v) == k else f"same{i}_{k}") for k, v in enumerate(skeleton[i])])
                     got = side.join(got, [f"r{i}", *[f"x{v}" for v in dict.fromkeys(skeleton[i]) if v in bound]])
                     bound |= set(skeleton[i])
                 head = skeleton[0]
