@@ -428,7 +428,8 @@ def open_links(star: DataFrame, known: DataFrame, root: DataFrame, vectors: Data
     reach = out.groupBy("pivot").agg(F.max("similarity").alias("nearest"))
     inside = members.filter("NOT out").select("pivot", "doc_id", "root_doc_id").join(reach, "pivot")
     told = inside.join(met, ["pivot", "doc_id"], "left")
-    fresh = verified(told.filter("similarity IS NULL").select(F.col("pivot").alias("a"), F.col("doc_id").alias("b")), vectors)
+    # saved: a filter on the similarity would else be taken below and compare everything once more, in workers of its own
+    fresh = saved(verified(told.filter("similarity IS NULL").select(F.col("pivot").alias("a"), F.col("doc_id").alias("b")), vectors), "verified")
     fresh = fresh.select(F.col("a").alias("pivot"), F.col("b").alias("doc_id"), "similarity", "common", F.col("tb").alias("total"))
     inside = told.filter("similarity IS NOT NULL").drop("nearest").unionByName(inside.join(fresh, ["pivot", "doc_id"]).drop("nearest"))
     inside = inside.join(reach, "pivot").filter(F.col("similarity") <= F.col("nearest") + (1 - threshold) + 1e-9).drop("nearest")
@@ -438,8 +439,9 @@ def open_links(star: DataFrame, known: DataFrame, root: DataFrame, vectors: Data
     lanes = full.groupBy("pivot").agg(F.ceil(size / block_bytes).alias("lanes"), F.ceil(F.sum(F.when(F.col("out"), F.octet_length("hashes") + F.octet_length("weights"))) / block_bytes).alias("out_lanes"))
     dealt = full.join(lanes, "pivot").withColumn("lane", F.pmod(F.xxhash64("doc_id"), F.col("lanes"))).withColumn("out_lane", F.pmod(F.xxhash64(F.lit(1), "doc_id"), F.col("out_lanes")))
     row = F.struct("doc_id", F.col("root_doc_id").alias("root"), F.col("similarity").alias("s"), F.col("total").cast("double").alias("t"), F.col("common").cast("double").alias("p"), "hashes", "weights")
-    right = dealt.groupBy("pivot", "lane").agg(F.collect_list(row).alias("y"))
-    left = dealt.filter("out").groupBy("pivot", "out_lane").agg(F.first("lanes").alias("lanes"), F.collect_list(row).alias("x"))
+    # the join left a pivot's members in one place
+    right = dealt.repartition("pivot", "lane").groupBy("pivot", "lane").agg(F.collect_list(row).alias("y"))
+    left = dealt.filter("out").repartition("pivot", "out_lane").groupBy("pivot", "out_lane").agg(F.first("lanes").alias("lanes"), F.collect_list(row).alias("x"))
     left = left.select("pivot", "x", F.explode(F.sequence(F.lit(0).cast("long"), F.col("lanes") - 1)).alias("lane"))
 
     def run(batches):

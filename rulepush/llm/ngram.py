@@ -28,12 +28,12 @@ from pyspark.sql import functions as F
 from .common import release_memory, saved, shuffle_partitions, small_batches, table
 from .tokenization import row_slices
 
-#: Stands before a text; white space is folded, so no text holds it.
+#: Stands before a text; there it counts as white space.
 PAD = 0
 #: Bins of a perplexity's logarithm, to a unit.
 STEPS = 2000
 #: Bytes of text whose n-grams are made distinct at once.
-BLOCK = 8 << 20
+BLOCK = 6 << 20
 
 
 def trusted_documents(docs: DataFrame, labels: DataFrame, broadcast_ids: int = 1_000_000) -> tuple[DataFrame, DataFrame]:
@@ -45,11 +45,14 @@ def trusted_documents(docs: DataFrame, labels: DataFrame, broadcast_ids: int = 1
     return saved(docs.join(good.hint("merge"), "doc_id", "left_semi"), "trusted"), good
 
 
-def _codes(text: str) -> np.ndarray:
-    """Code points, digits as one and white space as one."""
-    c = np.frombuffer(text.encode("utf-32-le", "replace"), "<u4")
-    c = np.where((c >= 48) & (c <= 57), 48, c)
-    return np.where((c <= 32) | (c == 160), 32, c)
+def _codes(texts: list[str], pad: int) -> np.ndarray:
+    """Code points of the texts, pad PADs before each; digits as one and white space as one."""
+    before = chr(PAD) * pad
+    raw = "".join(x for t in texts for x in (before, t.replace(before[:1], " "))).encode("utf-32-le", "replace")
+    c = np.frombuffer(bytearray(raw), "<u4")
+    c[(c >= 48) & (c <= 57)] = 48
+    c[((c <= 32) & (c != PAD)) | (c == 160)] = 32
+    return c
 
 
 def _ranked(key: np.ndarray, size: int) -> tuple[np.ndarray, int]:
@@ -68,19 +71,23 @@ def grams_of(texts: list[str | None], order: int) -> tuple[list[str], np.ndarray
 
     The distinct n-grams' order depends on nothing but which there are.
     """
-    pad = np.full(order - 1, PAD, np.uint32)
-    codes = [_codes(t) if t else pad[:0] for t in texts]
-    sizes = np.array([len(c) for c in codes], np.int64)
+    sizes = np.array([len(t) if t else 0 for t in texts], np.int64)
     if not sizes.sum():
         return [], np.zeros(0, np.int32), sizes
-    c = np.concatenate([x for t in codes for x in (pad, t)]).astype(np.uint32)
-    del codes
+    c = _codes([t for t in texts if t], order - 1)
+    small = np.int32 if len(c) < 1 << 31 else np.int64
     local, letters = _ranked(c, int(c.max()) + 1)
-    ends = np.nonzero(c != PAD)[0]
+    ends = np.nonzero(c != PAD)[0].astype(small)
     at, n = _ranked(local[ends], letters)
     for i in range(1, order):  # grams longer by a character on the left, in the order of their characters
-        at, n = _ranked(local[ends - i].astype(np.int64) * n + at, letters * n)
-    place = np.empty(n, np.int64)
+        key = local[ends - small(i)]
+        if letters * n >= 1 << 31:
+            key = key.astype(np.int64)
+        key *= key.dtype.type(n)
+        key += at
+        at, n = _ranked(key, letters * n)
+        del key
+    place = np.empty(n, small)
     place[at] = ends
     chars = np.ascontiguousarray(c[place[:, None] + np.arange(1 - order, 1)])
     return chars.view(f"<U{order}")[:, 0].tolist(), at, sizes
@@ -100,7 +107,7 @@ def gram_counts(docs: DataFrame, order: int) -> DataFrame:
                 if t:
                     held.append(t)
                     size += len(t)
-                if size >= BLOCK:
+                if size >= BLOCK // 4:  # what blocks share is summed in the task
                     yield counted(held)
                     held, size = [], 0
         yield counted(held)

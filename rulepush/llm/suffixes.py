@@ -44,7 +44,7 @@ GRAM = 24
 HOT = 4096
 BUCKETS = 1024
 _BATCH = 4 << 20
-_PART = 1 << 20
+_PART = 1 << 19
 _U = np.uint64
 
 
