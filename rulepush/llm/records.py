@@ -27,7 +27,7 @@ import pyarrow.fs as pafs
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import scratch, small_batches
+from .common import release_memory, scratch, small_batches
 from .tokenization import encoder, row_slices
 
 #: Reversed CRC-32C polynomial and the mask's constant (fixed values of the public record format).
@@ -59,29 +59,35 @@ def _apply(tables: np.ndarray, x: np.ndarray) -> np.ndarray:
     return tables[0][x & 255] ^ tables[1][(x >> 8) & 255] ^ tables[2][(x >> 16) & 255] ^ tables[3][x >> 24]
 
 
+@functools.cache
+def _word_tables() -> tuple[np.ndarray, np.ndarray]:
+    """_shift(4) for the low and the high half of a state."""
+    x, t = np.arange(1 << 16), _shift(4)
+    return t[0][x & 255] ^ t[1][x >> 8], t[2][x & 255] ^ t[3][x >> 8]
+
+
 def crc32c(payloads: list[bytes]) -> np.ndarray:
-    """CRC-32C of many byte strings at once: blocks fold pairwise, then each string's blocks in order."""
+    """CRC-32C of many byte strings at once: all blocks word by word, then each string's blocks in order."""
     sizes = np.array([len(p) for p in payloads], np.int64)
-    blocks = np.maximum(1, -(-sizes // _BLOCK))
+    width = min(_BLOCK, max(4, 1 << int(sizes.max(initial=0) - 1).bit_length()))
+    blocks = np.maximum(1, -(-sizes // width))
     ends = np.cumsum(blocks)
-    buf = np.zeros(int(ends[-1]) * _BLOCK if len(ends) else 0, np.uint8)
-    for p, n, end in zip(payloads, sizes, ends):  # right-aligned: leading zeros leave an empty state as it is
+    buf = np.zeros(int(ends[-1]) * width if len(ends) else 0, np.uint8)
+    for p, n, stop in zip(payloads, sizes.tolist(), (ends * width).tolist()):  # right-aligned: leading zeros leave an empty state as it is
         raw = np.frombuffer(p, np.uint8)
-        stop = int(end) * _BLOCK
         buf[stop - n : stop] = raw
-        head = min(4, int(n))
+        head = min(4, n)
         buf[stop - n : stop - n + head] ^= 255
-    state = _byte_table()[buf]
-    width = 1
-    while width < _BLOCK:
-        pair = state.reshape(-1, 2)
-        state = _apply(_shift(width), pair[:, 0]) ^ pair[:, 1]
-        width *= 2
+    low, high = _word_tables()
+    state = np.zeros(len(buf) // width, np.uint32)
+    for word in np.ascontiguousarray(buf.view("<u4").reshape(-1, width // 4).T):
+        halves = (state ^ word).view("<u2")
+        state = low.take(halves[::2]) ^ high.take(halves[1::2])
     out = np.zeros(len(payloads), np.uint32)
     starts = ends - blocks
     for step in range(int(blocks.max()) if len(blocks) else 0):
         live = np.nonzero(blocks > step)[0]
-        out[live] = _apply(_shift(_BLOCK), out[live]) ^ state[starts[live] + step]
+        out[live] = _apply(_shift(width), out[live]) ^ state[starts[live] + step]
     for i in np.nonzero(sizes < 4)[0]:  # the initial state reaches past the end of very short strings
         crc = 0xFFFFFFFF
         for b in payloads[i]:
@@ -153,6 +159,7 @@ def write_records(docs: DataFrame, path: str, tokenizer: str, end_id: int = 2, s
         if out is not None:
             out.close()
             fs.move(f"{root}/_{name}", f"{root}/{name}.rec")
+        release_memory()
 
     ranged = docs.select("doc_id", "text").repartitionByRange(shards, F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first())
     index = ranged.mapInArrow(run, "shard string, row long, doc_id long, offset long, length long, n_tokens long")
