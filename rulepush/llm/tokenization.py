@@ -192,6 +192,7 @@ class CachedEncoder:
         self.dtype = np.dtype("<u4" if self.wide else "<u2")
         self.keep = keep
         self.long: dict[bytes, tuple[int, int]] = {}
+        self.long_bytes = 0  # of self.long, about
         self.pool, self.filled = np.zeros(1 << 10, self.dtype), 1
         self._rebuild(1 << 10, *(np.zeros(0, t) for t in ("u8", "u8", "u4", "u1", "?")))
         # the same merges behind a plain split at blanks: words come already cut and in byte letters
@@ -252,14 +253,14 @@ class CachedEncoder:
 
     def _evict(self) -> None:
         """Once over its bound, the cache keeps entries met again since the last time, half its bound at most."""
-        if self.held + len(self.long) <= self.keep and self.filled <= 8 * self.keep:
+        if self.held <= self.keep and self.long_bytes <= 100 * self.keep and self.filled <= 8 * self.keep:
             return
         stay = np.nonzero(self.again & (self.at > 0))[0][: self.keep // 2]
         lo, hi, n = self.lo[stay], self.hi[stay], self.n[stay]
         ids = self.pool[spans(self.at[stay].astype(np.int64), n.astype(np.int64))]
         at = 1 + np.cumsum(n, dtype=np.int64) - n
         self.long.clear()
-        self.filled = 1
+        self.long_bytes, self.filled = 0, 1
         self._store(ids)
         self._rebuild(len(self.lo), lo, hi, at.astype("u4"), n, np.zeros(len(n), bool))
 
@@ -332,6 +333,7 @@ class CachedEncoder:
             said = [raw[p : p + z] for p, z in zip(pos[far].tolist(), size[far].tolist())]
             places = {w: i for w, i in zip(said, far.tolist()) if w not in self.long}
             if places:
+                self.long_bytes += sum(map(len, places)) + 250 * len(places)
                 rows = np.array([*places.values()])
                 self.long.update(zip(places, zip(*(x.tolist() for x in self._learn(buf, pos[rows], size[rows])))))
             at[far], n[far] = zip(*map(self.long.__getitem__, said))

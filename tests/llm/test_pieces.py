@@ -42,6 +42,15 @@ def test_many_distinct_words_are_merged_once():
     assert min(cpu(lambda: enc.encode(texts)) for _ in range(2)) < library / 5
 
 
+def test_long_words_are_held_within_bounds():
+    r = random.Random(7)
+    enc = tokenization.CachedEncoder(BYTE, 1000)
+    texts = ["".join(r.choices("abcdefgh", k=3000)) for _ in range(200)]
+    for t in texts:
+        assert enc.encode([t]) == [np.array(enc.tok.encode(t, add_special_tokens=False).ids, enc.dtype).tobytes()]
+        assert sum(map(len, enc.long)) <= 100_000 + 3000 and enc.filled <= 8000 + 3000
+
+
 def test_checksums_of_all_sizes():
     payloads = [os.urandom(n) for n in [*range(20), 63, 64, 65, 255, 256, 257, 3000]]
 
