@@ -25,7 +25,6 @@ import hashlib
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-import xxhash
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -42,7 +41,10 @@ _U = np.uint64
 _ODD = [1]
 while len(_ODD) < 16:
     _ODD.append(_ODD[-1] * 0x9E3779B97F4A7C15 % (1 << 64))
-_WORD_CODES: dict[str, int] = {}
+#: ASCII as str.lower and str.split take it: small letters, and a blank for each white space.
+_PLAIN = bytes(32 if chr(c).isspace() and c < 128 else ord(chr(c).lower()) if c < 128 else c for c in range(256))
+#: The first bytes of eight.
+_FIRST = np.array([(1 << 8 * i) - 1 for i in range(9)], np.uint64)
 
 
 def mix64(x: np.ndarray) -> np.ndarray:
@@ -52,35 +54,51 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(32))
 
 
-def _learn_words(words: list[str]) -> None:
-    """Codes of all these words; the cache is emptied before it outgrows its bound, never between learning and use."""
-    if len(_WORD_CODES) > 100_000:
-        _WORD_CODES.clear()
-    for w in {w for w in words if w not in _WORD_CODES}:
-        _WORD_CODES[w] = xxhash.xxh3_64_intdigest(w.encode("utf-8", "replace"))
-
-
-def shingles(text: str | None, width: int = 5) -> tuple[np.ndarray, np.ndarray]:
-    """(sorted distinct shingle hashes, how often each occurs)."""
-    words = text.lower().split() if text else []
-    if not words:
-        return np.zeros(0, np.uint64), np.zeros(0, np.int64)
-    try:
-        codes = np.fromiter(map(_WORD_CODES.__getitem__, words), np.uint64, len(words))
-    except KeyError:
-        _learn_words(words)
-        codes = np.fromiter(map(_WORD_CODES.__getitem__, words), np.uint64, len(words))
-    k = min(width, len(words))
-    h = codes[: len(words) - k + 1] + _U(k)
-    for i in range(1, k):
-        h = h + codes[i : i + len(h)] * _U(_ODD[i])
-    h = mix64(h)
-    h.sort()
-    new = np.empty(len(h), bool)
-    new[0] = True
+def word_codes(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
+    """(codes of the words of t.lower().split(), number of words), text by text.
+
+    Eight bytes of all words at a time: words of a length up to eight have different codes.
+    """
+    parts = [b"" if not t else t.encode() if t.isascii() else " ".join(t.lower().split()).encode("utf-8", "replace") for t in texts]
+    whole = np.frombuffer((b" ".join([*parts, bytes(8)])).translate(_PLAIN), np.uint8)
+    begins = np.cumsum([0] + [len(x) + 1 for x in parts])
+    edge = np.empty(begins[-1] + 1, bool)
+    edge[0] = False
+    np.not_equal(whole[: begins[-1]], 32, out=edge[1:])  # the blank after the last text ends its last word
+    starts, ends = np.nonzero(edge[1:] > edge[:-1])[0], np.nonzero(edge[1:] < edge[:-1])[0]
+    size = ends - starts
+    eight = np.ndarray(len(whole) - 7, "<u8", whole, strides=(1,))
+    codes = mix64((eight[starts] & _FIRST[np.minimum(size, 8)]) ^ size.astype(_U) * _MIX)
+    more, at = np.nonzero(size > 8)[0], 8
+    while len(more):
+        codes[more] = mix64(codes[more] * _MIX ^ eight[starts[more] + at] & _FIRST[np.minimum(size[more] - at, 8)])
+        at += 8
+        more = more[size[more] > at]
+    return codes, np.diff(np.searchsorted(starts, begins))
+
+
+def shingled(texts: list[str | None], width: int = 5) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(distinct shingle hashes, how often each occurs, number of them by text): text by text, ascending in each."""
+    codes, n = word_codes(texts)
+    sizes = n - np.minimum(n, width) + (n > 0)  # shingles, repeated ones too
+    first, ends = np.cumsum(n) - n, np.cumsum(sizes)
+    h = np.zeros(len(codes), _U)
+    m = max(len(codes) - width + 1, 0)
+    part = np.empty(m, _U)
+    h[:m] = codes[:m] + _U(width)
+    for i in range(1, width):
+        h[:m] += np.multiply(codes[i : i + m], _U(_ODD[i]), out=part)
+    for at, k in ((first[i], int(n[i])) for i in np.nonzero((n > 0) & (n < width))[0]):
+        h[at] = (codes[at : at + k] * np.array(_ODD[:k], _U)).sum(dtype=_U) + _U(k)
+    # those that would reach into the next text go
+    h = mix64(h[np.arange(len(codes)) < np.repeat(first + sizes, n)])
+    for start, end in zip((ends - sizes).tolist(), ends.tolist()):
+        h[start:end].sort()
+    new = np.ones(len(h), bool)
     np.not_equal(h[1:], h[:-1], out=new[1:])
+    new[(ends - sizes)[sizes > 0]] = True
     at = np.nonzero(new)[0]
-    return h[at], np.diff(np.append(at, len(h)))
+    return h[at], np.diff(np.append(at, len(h))), np.diff(np.searchsorted(at, np.append(0, ends)))
 
 
 def _cells(h: np.ndarray) -> list[np.ndarray]:
@@ -103,14 +121,13 @@ def frequency_sketch(docs: DataFrame, width: int = 5) -> tuple[np.ndarray, int]:
 
         for b in batches:
             for at, m in row_slices(b.column(0)):
-                for t in b.column(0).slice(at, m).to_pylist():
-                    h, _ = shingles(t, width)
-                    n += 1
-                    wait.append(h)
-                    waiting += len(h)
-                    if waiting > 1 << 20:
-                        flush()
-                        waiting = 0
+                h, _, _ = shingled(b.column(0).slice(at, m).to_pylist(), width)
+                n += m
+                wait.append(h)
+                waiting += len(h)
+                if waiting > 1 << 20:
+                    flush()
+                    waiting = 0
         flush()
         release_memory()
         flat = held.reshape(-1, chunk)
@@ -177,10 +194,12 @@ class Sampler:
 
     For a hash, a shingle's r, c and beta come from a table by the top bits of its scrambled product. Among shingles of
     the usual weight ln a depends on the table entry alone, so their least is found by the entries' ranks, ties by
-    the product's next bits; the others are computed in full.
+    the rest of the product; the others are computed in full. Products are taken back to shingles by the inverse factor.
     """
 
     BITS = 12
+    #: Shingles of the usual weight at a time: what a hash does to them stays in the cache.
+    BLOCK = 1 << 16
 
     def __init__(self, hashes: int, seed: int = 7):
         rng = np.random.default_rng(seed)
@@ -189,15 +208,42 @@ class Sampler:
         self.r = rng.gamma(2, 1, (hashes, n)).astype(np.float32)
         self.log_c = np.log(rng.gamma(2, 1, (hashes, n))).astype(np.float32)
         self.beta = rng.random((hashes, n), dtype=np.float32)
+        self.divide = np.array([pow(int(m), -1, 1 << 64) for m in self.multiply], _U)
         every = np.arange(n)
-        self.rank = np.empty((hashes, n), np.int64)
+        self.by_rank = np.empty((hashes, n), np.int64)  # entries, least ln a first
+        self.swap = np.empty((hashes, n), _U)  # turns the entry above a product into its rank
         for k in range(hashes):
-            self.rank[k, np.argsort(self._ln_a(k, every, np.float32(np.log(USUAL / UNIT)))[0], kind="stable")] = every << 48  # below: tie bits, place
-
-    def _ln_a(self, k: int, at, log_w):
-        r = self.r[k, at]
-        t = np.floor(log_w / r + self.beta[k, at])
-        return self.log_c[k, at] - r * (t - self.beta[k, at]) - r, t
+            self.by_rank[k] = np.argsort(self._ln_a(k, every, np.float32(np.log(USUAL / UNIT)))[0], kind="stable")
+            self.swap[k, self.by_rank[k]] = (every ^ self.by_rank[k]).astype(_U) << _U(64 - self.BITS)
+
+    def _ln_a(self, k, at, log_w):
+        at = (k << self.BITS) + at
+        r, beta = self.r.take(at), self.beta.take(at)
+        t = np.floor(log_w / r + beta)
+        return self.log_c.take(at) - r * (t - beta) - r, t
+
+    def _usual(self, mixed: np.ndarray, heads: np.ndarray):
+        """(ln a, scrambled shingle, level), each by (hash, document), of the least shingle of the usual weight."""
+        hashes, low = len(self.multiply), _U(64 - self.BITS)
+        least = np.empty((hashes, len(heads)), _U)
+        ends = np.append(heads[1:], len(mixed))
+        first = 0
+        while first < len(heads):
+            last = max(first + 1, int(np.searchsorted(ends, heads[first] + self.BLOCK, "right")))
+            block, at = mixed[heads[first] : ends[last - 1]], heads[first:last] - heads[first]
+            x, entry, swap = np.empty(len(block), _U), np.empty(len(block), _U), np.empty(len(block), _U)
+            index = entry.view(np.int64)
+            for k, m in enumerate(self.multiply):
+                np.multiply(block, m, out=x)
+                np.right_shift(x, low, out=entry)
+                self.swap[k].take(index, out=swap, mode="clip")
+                np.bitwise_xor(x, swap, out=x)
+                np.minimum.reduceat(x, at, out=least[k, first:last])
+            first = last
+        k = np.arange(hashes)[:, None]
+        entry = self.by_rank[k, (least >> low).astype(np.int64)]
+        ln_a, level = self._ln_a(k, entry, np.float32(np.log(USUAL / UNIT)))
+        return ln_a, (least ^ self.swap[k, entry]) * self.divide[:, None], level
 
     def sample(self, h: np.ndarray, w: np.ndarray, starts: np.ndarray) -> np.ndarray:
         """(documents, hashes): numbers that two documents share with the probability of their similarity.
@@ -206,44 +252,31 @@ class Sampler:
         """
         docs, mixed = len(starts), mix64(h)
         owner = np.repeat(np.arange(docs), np.diff(np.append(starts, len(h))))
-        log_w = np.log(w / UNIT).astype(np.float32)
         usual, odd = np.nonzero(w == USUAL)[0], np.nonzero(w != USUAL)[0]
         heads = lambda at: np.nonzero(np.concatenate([[True], owner[at][1:] != owner[at][:-1]]))[0] if len(at) else at
         u_heads, o_heads = heads(usual), heads(odd)
-        u_docs, o_docs = owner[usual][u_heads], owner[odd][o_heads]
-        o_owner = np.repeat(np.arange(len(o_docs)), np.diff(np.append(o_heads, len(odd))))
-        u_mixed, o_mixed, o_log = mixed[usual], mixed[odd], log_w[odd]
-        place = np.arange(len(usual), dtype=np.int64)
-        room = 24 if len(usual) < 1 << 24 else 40  # bits of a key for the place; the rest below the rank break ties
-        out = np.empty((docs, len(self.multiply)), _U)
-        low, ties, at_place = _U(64 - self.BITS), _U((1 << 48) - (1 << room)), (1 << room) - 1
-        x, entry, key = np.empty(len(usual), _U), np.empty(len(usual), _U), np.empty(len(usual), np.int64)
-        for k, m in enumerate(self.multiply):
-            best = np.full(docs, np.inf, np.float64)
-            pick = np.zeros(docs, np.int64)
-            level = np.zeros(docs, np.int64)
-            if len(usual):
-                np.multiply(u_mixed, m, out=x)
-                np.right_shift(x, low, out=entry)
-                np.take(self.rank[k], entry.view(np.int64), out=key, mode="clip")
-                np.bitwise_and(x, ties, out=x)
-                np.bitwise_or(key, x.view(np.int64), out=key)
-                np.bitwise_or(key, place, out=key)
-                won = np.minimum.reduceat(key, u_heads) & at_place
-                best[u_docs], level[u_docs] = self._ln_a(k, entry[won].view(np.int64), np.float32(np.log(USUAL / UNIT)))
-                pick[u_docs] = usual[won]
-            if len(odd):
-                z = o_mixed * m
-                ln_a, t = self._ln_a(k, (z >> low).view(np.int64), o_log)
-                least = np.minimum.reduceat(ln_a, o_heads)
-                hit = np.nonzero(ln_a == least[o_owner])[0]
-                hit = hit[np.lexsort((z[hit], o_owner[hit]))]
-                won = hit[np.concatenate([[True], o_owner[hit][1:] != o_owner[hit][:-1]])]
-                better = ln_a[won] < best[o_docs]
-                at = o_docs[better]
-                pick[at], level[at] = odd[won[better]], t[won[better]]
-            out[:, k] = mixed[pick] + _MIX * level.astype(_U)
-        return mix64(out)
+        best = np.full((len(self.multiply), docs), np.inf, np.float32)
+        pick = np.zeros(best.shape, _U)
+        level = np.zeros(best.shape, np.float32)
+        if len(usual):
+            u_docs = owner[usual][u_heads]
+            best[:, u_docs], pick[:, u_docs], level[:, u_docs] = self._usual(mixed[usual], u_heads)
+        if len(odd):
+            o_docs, o_mixed, o_log = owner[odd][o_heads], mixed[odd], np.log(w[odd] / UNIT).astype(np.float32)
+            o_owner = np.repeat(np.arange(len(o_docs)), np.diff(np.append(o_heads, len(odd))))
+            step = max(1, self.BLOCK // len(odd))
+            for k in range(0, len(self.multiply), step):
+                ks = np.arange(k, min(k + step, len(self.multiply)))[:, None]
+                z = o_mixed * self.multiply[ks]
+                ln_a, t = self._ln_a(ks, (z >> _U(64 - self.BITS)).view(np.int64), o_log)
+                row, hit = np.nonzero(ln_a == np.minimum.reduceat(ln_a, o_heads, axis=1).take(o_owner, axis=1))
+                tied = np.nonzero(np.concatenate([[True], (row[1:] != row[:-1]) | (o_owner[hit[1:]] != o_owner[hit[:-1]])]))[0]
+                least, row, hit = np.minimum.reduceat(z[row, hit], tied), row[tied], hit[tied]
+                at = k + row, o_docs[o_owner[hit]]
+                better = ln_a[row, hit] < best[at]
+                at = at[0][better], at[1][better]
+                pick[at], level[at] = (least * self.divide[k + row])[better], t[row, hit][better]
+        return mix64(pick + _MIX * level.astype(np.int64).view(_U)).T
 
 
 def shared_weight(ha, wa, hb, wb) -> int:
@@ -277,22 +310,29 @@ def profiles(docs: DataFrame, idf: np.ndarray, bands: int, rows: int, width: int
         seen: dict[bytes, list[int]] = {}
         for b in batches:
             for at, n in row_slices(b.column(1), 2 << 20):
+                ids, texts = (b.column(c).slice(at, n).to_pylist() for c in range(2))
+                h, tf, sizes = shingled([None if i is None else t for i, t in zip(ids, texts)], width)
+                if not len(h):
+                    continue
+                held_ids, sizes = [i for i, m in zip(ids, sizes.tolist()) if m], sizes[sizes > 0]
+                starts = np.cumsum(sizes) - sizes
+                w = weights(h, tf, levels)
+                totals, wide = np.add.reduceat(w, starts).tolist(), (np.maximum.reduceat(w, starts) >= 1 << 16).tolist()
+                full, high, long, short = (memoryview(x.tobytes()) for x in (h.astype("<u8"), (h >> _U(32)).astype("<u4"), w.astype("<u4"), w.astype("<u2")))
                 out, fresh = [], {}
-                for i, t in zip(b.column(0).slice(at, n).to_pylist(), b.column(1).slice(at, n).to_pylist()):
-                    h, tf = shingles(t, width)
-                    if i is None or not len(h):
-                        continue
-                    w = weights(h, tf, levels)
-                    raw = h.astype("<u8").tobytes()
-                    digest = hashlib.blake2b(raw + w.astype("<u4").tobytes(), digest_size=16).digest()
+                for j, (i, s, m) in enumerate(zip(held_ids, starts.tolist(), sizes.tolist())):
+                    e = s + m
+                    digest = hashlib.blake2b(full[8 * s : 8 * e], digest_size=16)
+                    digest.update(long[4 * s : 4 * e])
+                    digest = digest.digest()
                     if digest not in seen:
-                        fresh[digest] = (h, w)
-                    small = (h >> _U(32)).astype("<u4").tobytes()
-                    out.append([i, digest, None, int(w.sum()), small, (w.astype("<u2") if w.max() < 1 << 16 else w.astype("<u4")).tobytes()])
+                        fresh.setdefault(digest, j)
+                    out.append([i, digest, None, totals[j], bytes(high[4 * s : 4 * e]), bytes(long[4 * s : 4 * e] if wide[j] else short[2 * s : 2 * e])])
                 if fresh:
-                    sizes = np.array([len(h) for h, _ in fresh.values()])
-                    drawn = sampler.sample(np.concatenate([h for h, _ in fresh.values()]), np.concatenate([w for _, w in fresh.values()]), np.cumsum(sizes) - sizes)
-                    drawn = drawn.reshape(len(fresh), bands, rows)
+                    drawn_of = np.zeros(len(sizes), bool)
+                    drawn_of[list(fresh.values())] = True
+                    use, own = np.repeat(drawn_of, sizes), sizes[drawn_of]
+                    drawn = sampler.sample(h[use], w[use], np.cumsum(own) - own).reshape(len(fresh), bands, rows)
                     key = np.zeros((len(fresh), bands), _U)
                     for j in range(rows):
                         key = mix64(key * _MIX + drawn[:, :, j])

@@ -2,6 +2,7 @@
 
 import math
 import random
+import sys
 from collections import Counter, defaultdict
 
 import numpy as np
@@ -129,3 +130,58 @@ def test_a_text_of_many_shingles():
     drawn = neardup.Sampler(2).sample(h, w, np.array([0]))
     half = neardup.Sampler(2).sample(h[: 1 << 22], w[: 1 << 22], np.array([0]))
     assert drawn.shape == half.shape == (1, 2)
+
+
+def test_shingles_of_many_texts_at_once():
+    """Words are those of lower().split(), shingles stay within their text, and no work in Python is done by the word."""
+    odd = [None, "", " \n", "A b", "a B", "one two three four five", "x " * 40, "\x1c\x1dtabs\tand\vlines\n\x1fend\x00nul \x7f", "ÉCOLE İstanbul\u0085ΣΑΣ lone\ud800 x", "eightby8 sixteenbytes1234 seventeenbytes123 seventeenbytes124 ab\0"]
+    texts = [*odd, *corpus(3).values(), "a tail of", None]
+    want = [Counter(tuple(w[j : j + 5]) for j in range(max(len(w) - 4, 1))) if w else Counter() for w in ((t or "").lower().split() for t in texts)]
+    h, tf, sizes = neardup.shingled(texts)
+    assert sizes.tolist() == [len(c) for c in want] and len(set(h.tolist())) == len({s for c in want for s in c})
+    ends = np.cumsum(sizes)
+    for t, c, s, e in zip(texts, want, ends - sizes, ends):
+        alone = neardup.shingled([t])
+        assert np.array_equal(alone[0], h[s:e]) and np.array_equal(alone[1], tf[s:e]) and (np.diff(h[s:e].astype(object)) > 0).all()
+        assert sorted(tf[s:e].tolist()) == sorted(c.values())
+
+    def calls(n):
+        made = [0]
+
+        def count(frame, event, arg):
+            made[0] += event in ("call", "c_call")
+
+        many = [" ".join(f"w{i * n + j:06}" for j in range(n)) for i in range(20)]
+        sys.setprofile(count)
+        try:
+            neardup.shingled(many)
+        finally:
+            sys.setprofile(None)
+        return made[0]
+
+    assert calls(2000) == calls(100)
+
+
+def test_sampler_draws_the_least_of_each_hash():
+    """Every draw is the shingle and level of least ln a, from the definition, with blocks of any size."""
+    r = np.random.default_rng(5)
+    sizes = [1, 3, 400, 1, 50, 900, 2]
+    h = r.integers(1, 1 << 63, sum(sizes), dtype=np.uint64)
+    w = np.where(r.random(len(h)) < 0.7, neardup.USUAL, r.choice([64, 80, 192, 960], len(h)))
+    w[:4] = 64, neardup.USUAL, 64, neardup.USUAL
+    starts = np.cumsum(sizes) - sizes
+    sampler = neardup.Sampler(40)
+    drawn = sampler.sample(h, w, starts)
+    for block in (1, 64, 1000):
+        sampler.BLOCK = block
+        assert np.array_equal(sampler.sample(h, w, starts), drawn)
+    mixed = neardup.mix64(h)
+    for k in range(40):
+        at = (mixed * sampler.multiply[k]) >> np.uint64(64 - sampler.BITS)
+        at = at.astype(np.int64)
+        t = np.floor(np.log(w / neardup.UNIT).astype(np.float32) / sampler.r[k, at] + sampler.beta[k, at])
+        ln_a = sampler.log_c[k, at] - sampler.r[k, at] * (t - sampler.beta[k, at]) - sampler.r[k, at]
+        for d, (s, n) in enumerate(zip(starts, sizes)):
+            least = np.nonzero(ln_a[s : s + n] == ln_a[s : s + n].min())[0] + s
+            can = neardup.mix64(mixed[least] + neardup._MIX * t[least].astype(np.int64).view(np.uint64))
+            assert drawn[d, k] in can
